@@ -6,11 +6,18 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import packing, resharding, token_files
+from . import chat, decontaminate, language, packing, quality, resharding, set_join, token_files, url_filter, wrappers
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_decontamination": decontaminate.op1_decontamination,
+        "op2_html_text": wrappers.op2_html_text,
+        "op5_ngram_jaccard": set_join.op5_ngram_jaccard,
+        "op4_url_filter": url_filter.op4_url_filter,
+        "op6_quality_rules": quality.op6_quality_rules,
+        "op8_preference_format": chat.op8_preference_format,
+        "op9_language_id": language.op9_language_id,
         "op3_flow_resharding": resharding.op3_flow_resharding,
         "op7_token_files": token_files.op7_token_files,
         "op10_best_fit": packing.op10_best_fit,
@@ -18,4 +25,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op6_quality_rules": quality.op6_sql(), "op8_preference_format": chat.op8_sql()}
