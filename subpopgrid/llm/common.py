@@ -88,3 +88,11 @@ def with_prefix_sums(df: DataFrame, group: str, order: list, weight: str, out: s
         running[r[group]] = running.get(r[group], 0) + r["t"]
     base = spark.createDataFrame(bases, f"_part int, `{group}` long, _base long")
     return local_sums.join(F.broadcast(base), ["_part", group]).withColumn(out, F.col("_before") + F.col("_base")).select(*df.columns, out)
+
+
+def with_row_ids(docs: DataFrame, id_col: str = "doc_id") -> tuple[DataFrame, str]:
+    """The rows and a column that tells them apart: ``id_col`` if it does, else a stored row number."""
+    r = docs.agg(F.count(F.lit(1)), F.count_distinct(id_col)).first()
+    if r[0] == r[1]:
+        return docs, id_col
+    return staged(docs.withColumn("_row", F.monotonically_increasing_id()), "rows"), "_row"

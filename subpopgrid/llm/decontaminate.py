@@ -155,12 +155,12 @@ def item_blocks(benchmark: DataFrame, limit: int = BROADCAST_LIMIT) -> list[list
     return blocks
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, min_score: float = MIN_SCORE) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, min_score: float = MIN_SCORE, id_col: str = "doc_id") -> DataFrame:
     """The best match of every (document, item) that reaches the score."""
     spark, n_docs, parts = docs.sparkSession, docs.count(), []
     for items in item_blocks(benchmark):
         unique = list({i: t for i, t in items}.items())
-        found = staged(windows(docs, unique), "seed-windows")
+        found = staged(windows(docs, unique, id_col), "seed-windows")
         sizes = spark.createDataFrame([(i, len(words_of(t))) for i, t in unique], "item_id long, words int")
         parts.append(score_windows(rare_windows(found, n_docs, F.broadcast(sizes)), unique, min_score))
     rows = reduce(DataFrame.unionByName, parts)

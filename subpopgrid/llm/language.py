@@ -129,24 +129,44 @@ def _witness(said: Column, lang: str, langs: list[str], hit: float) -> Column:
     return F.when(said.isin(langs), F.when(said == lang, math.log(hit)).otherwise(math.log(miss))).otherwise(0.0)
 
 
-def identify(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str = "text", declared: Column | None = None, suffix: Column | None = None, host: Column | None = None) -> DataFrame:
-    """id, ``lang_pred`` (null if rejected without evidence), ``posterior`` and ``kept`` for every row.
-
-    ``declared``: markup language; ``suffix``: language an address hints at; ``host``: the host or source.
-    """
+def _inputs(docs: DataFrame, declared: Column | None, suffix: Column | None, host: Column | None) -> dict[str, Column]:
     none = F.lit(None).cast("string")
     short = lambda c: none if c is None else F.lower(F.substring(c, 1, 2))
-    langs = model["langs"]
-    keep = {id_col: F.col(id_col), "declared": short(declared), "suffix": short(suffix), "host": none if host is None else host.cast("string")}
-    scores = staged(score(docs, model, keep, text_col), "language-scores")
-    if not langs:
-        return scores.select(id_col, none.alias("lang_pred"), F.lit(0.0).alias("posterior"), F.lit(False).alias("kept"))
-    priors = staged(host_priors(scores, langs), "host-priors")  # a row a host; broadcast only below Spark's size limit
+    return {"declared": short(declared), "suffix": short(suffix), "host": none if host is None else host.cast("string")}
+
+
+def fuse(scores: DataFrame, priors: DataFrame, langs: list[str]) -> DataFrame:
+    """Add ``lang_pred`` (null without text), ``posterior`` and ``kept``. Priors broadcast only below Spark's size limit."""
     joined = scores.join(priors, F.col("host").eqNullSafe(F.col("_host")), "left")
     parts = [F.col(f"t_{k}") + F.coalesce(F.col(f"h_{k}"), F.lit(0.0)) + _witness(F.col("declared"), x, langs, DECLARED_HIT) + _witness(F.col("suffix"), x, langs, SUFFIX_HIT) for k, x in enumerate(langs)]
     ranked = F.sort_array(F.array(*(F.struct(F.round(p, 6).alias("p"), F.lit(x).alias("x")) for p, x in zip(_softmax(parts), langs, strict=True))), asc=False)[0]
     best = joined.withColumn("best", ranked)
-    return best.select(id_col, F.when(F.col("n") > 0, F.col("best.x")).alias("lang_pred"), F.col("best.p").alias("posterior"), (F.col("fits") & (F.col("best.p") >= MIN_POSTERIOR)).alias("kept"))
+    return best.withColumn("lang_pred", F.when(F.col("n") > 0, F.col("best.x"))).withColumn("posterior", F.col("best.p")).withColumn("kept", F.col("fits") & (F.col("best.p") >= MIN_POSTERIOR))
+
+
+def identify(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str = "text", declared: Column | None = None, suffix: Column | None = None, host: Column | None = None) -> DataFrame:
+    """id, ``lang_pred``, ``posterior`` and ``kept`` for every row.
+
+    ``declared``: markup language; ``suffix``: language an address hints at; ``host``: the host or source.
+    """
+    langs = model["langs"]
+    scores = staged(score(docs, model, {id_col: F.col(id_col)} | _inputs(docs, declared, suffix, host), text_col), "language-scores")
+    if not langs:
+        return scores.select(id_col, F.lit(None).cast("string").alias("lang_pred"), F.lit(0.0).alias("posterior"), F.lit(False).alias("kept"))
+    priors = staged(host_priors(scores, langs), "host-priors")  # a row a host
+    return fuse(scores, priors, langs).select(id_col, "lang_pred", "posterior", "kept")
+
+
+def accepted(docs: DataFrame, model: dict, text_col: str = "text", declared: Column | None = None, suffix: Column | None = None, host: Column | None = None) -> DataFrame:
+    """The rows that are not rejected, all columns as they were. Rows are rated twice (priors, verdict) rather than shuffled."""
+    langs, names = model["langs"], docs.columns
+    if not langs:
+        return docs.limit(0)
+    inputs = _inputs(docs, declared, suffix, host)
+    priors = staged(host_priors(score(docs, model, inputs, text_col), langs), "host-priors")
+    carried = {f"_c{i}": F.col(f"`{c}`") for i, c in enumerate(names)}
+    verdicts = fuse(score(docs, model, carried | inputs, text_col), priors, langs).where("kept")
+    return verdicts.select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(names)))
 
 
 def address_language(url: Column) -> Column:

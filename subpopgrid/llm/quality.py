@@ -115,6 +115,15 @@ def quality(docs: DataFrame) -> DataFrame:
     return judge(counts, bounds).select("doc_id", *BASE, "base_failed", "kept")
 
 
+def passed(docs: DataFrame) -> DataFrame:
+    """The rows that are kept, all columns as they were. Rows are measured twice (limits, verdict) rather than shuffled."""
+    names = docs.columns
+    bounds = staged(limits(sketches(base_counts(docs))).coalesce(1), "quality-limits")
+    carried = docs.select(*(F.col(f"`{c}`").alias(f"_c{i}") for i, c in enumerate(names)), F.col("lang"), F.col("source"), F.col("text").alias("_text"))
+    counts = base_counts(carried, "_text", tuple(c for c in carried.columns if c != "_text"))
+    return judge(counts, bounds).where("kept").select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(names)))
+
+
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality(spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
