@@ -24,11 +24,15 @@ def key_sql(spec: WorkloadSpec, gid: str = "gid") -> str:
 
 def pairs_ctes(records: str, spec: WorkloadSpec) -> str:
     sets = ", ".join("(" + ", ".join([*c, "m"]) + ")" for c in spec.sets())
-    dims = ", ".join(spec.dims)
+    used = {d for c in spec.sets() for d in c}
+    dims = ", ".join(d if d in used else f"NULL AS {d}" for d in spec.dims)
+    n = len(spec.dims)
+    gid = " + ".join(f"CAST({f'grouping({d})' if d in used else 1} AS BIGINT) * {1 << (n - 1 - i)}" for i, d in enumerate(spec.dims))
+    names = ", ".join(spec.dims)
     weight = spec.weight or "1"
     return (
-        f"recs AS MATERIALIZED ({records}), grouped AS MATERIALIZED (SELECT {dims}, m, CAST(sum({weight}) AS BIGINT) AS f, CAST(grouping({dims}) AS BIGINT) AS gid FROM recs GROUP BY GROUPING SETS ({sets})), "
-        f"pairs AS MATERIALIZED (SELECT gid, {dims}, {key_sql(spec)} AS subpop_key, m, f FROM grouped)"
+        f"recs AS MATERIALIZED ({records}), grouped AS MATERIALIZED (SELECT {dims}, m, CAST(sum({weight}) AS BIGINT) AS f, {gid} AS gid FROM recs GROUP BY GROUPING SETS ({sets})), "
+        f"pairs AS MATERIALIZED (SELECT gid, {names}, {key_sql(spec)} AS subpop_key, m, f FROM grouped)"
     )
 
 
