@@ -10,8 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from subpopgrid.llm import decontaminate, language, packing, quality, set_join
-from subpopgrid.llm.common import staged, with_row_ids
-from subpopgrid.session import on_workers
+from subpopgrid.llm.common import prepare, staged, with_row_ids
 
 #: Near duplicates: word n-grams and the least similarity (a fraction).
 NEAR_WORDS, NEAR_NUM, NEAR_DEN = 5, 80, 100
@@ -19,18 +18,18 @@ NEAR_WORDS, NEAR_NUM, NEAR_DEN = 5, 80, 100
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a known language; ``lang`` is the declared one, the source stands for the host."""
-    on_workers(spark)
+    prepare(spark)
     return language.accepted(docs, language.fit(docs, F.col("lang")), declared=F.col("lang"), host=F.col("source"))
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    on_workers(spark)
+    prepare(spark)
     return quality.passed(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class stays: the first by id. Rows without a usable id are told apart by row numbers."""
-    on_workers(spark)
+    prepare(spark)
     rows, key = with_row_ids(docs)
     found = set_join.classes(rows, NEAR_WORDS, NEAR_NUM, NEAR_DEN, id_col=key)
     gone = staged(found.where("doc_id != component_id").select(F.col("doc_id").alias("_gone")), "copies")
@@ -38,7 +37,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    on_workers(spark)
+    prepare(spark)
     rows, key = with_row_ids(docs)
     found = decontaminate.contaminated(rows, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), id_col=key)
     gone = staged(found.select(F.col("doc_id").alias("_gone")).distinct(), "contaminated")
@@ -46,7 +45,7 @@ def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str)
 
 
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    on_workers(spark)
+    prepare(spark)
     return packing.pack(packing.pieces(docs, packing.CAPACITY), packing.CAPACITY)
 
 

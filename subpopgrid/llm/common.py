@@ -4,16 +4,56 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..session import on_workers
+
 # Broadcast variables hold at most this many bytes; larger inputs are joined instead.
 BROADCAST_LIMIT = 8 << 20
 
 
+#: Rows and bytes of an Arrow batch: texts are long, and a batch is held by the executor and its worker at once.
+BATCH_ROWS, BATCH_BYTES = 1_000, 16 << 20
+
+_HOLDS: dict[str, Callable[[], None]] = {}
+
+
+def prepare(spark: SparkSession) -> None:
+    """Module path of the workers, and batches that suit long texts."""
+    on_workers(spark)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+
+
+def hold(owner: str, clear: Callable[[], None]) -> None:
+    """In a worker: ``owner`` has caches, which ``clear`` drops."""
+    _HOLDS[owner] = clear
+
+
+def take_over(owner: str) -> None:
+    """In a worker, as a task begins: caches that other operators left in this process give way."""
+    others = [k for k in _HOLDS if k != owner]
+    for k in others:
+        _HOLDS.pop(k)()
+    if others:
+        import ctypes
+        import gc
+
+        import pyarrow as pa
+
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        try:
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+        except OSError:  # another C library
+            pass
+
+
 def shared_folder(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session.
 

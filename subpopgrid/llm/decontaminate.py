@@ -26,7 +26,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_LIMIT, staged
+from .common import BROADCAST_LIMIT, staged, take_over
 
 SEED_WORDS, RARE_SHARE, RARE_LEAST = 3, 0.001, 20
 MATCH, MISMATCH, GAP = 2, -1, -1
@@ -79,6 +79,7 @@ def windows(docs: DataFrame, items: list[tuple[int, str]], id_col: str = "doc_id
     def find(batches):
         import pyarrow as pa
 
+        take_over("seeds")
         seeds = held.value
         for b in batches:
             out: tuple[list, ...] = ([], [], [], [], [])

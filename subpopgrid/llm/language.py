@@ -22,7 +22,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import staged, take_over
 
 BUCKETS, SAMPLE_DOCS, TEXT_TRIALS = 8192, 4000, 60
 DECLARED_HIT, SUFFIX_HIT, HOST_WEIGHT, MIN_POSTERIOR = 0.9, 0.8, 20, 0.5
@@ -66,19 +66,20 @@ def fit(docs: DataFrame, label: Column, id_col: str = "doc_id", text_col: str =
     return {"langs": langs, "logs": logs, "mean": means, "spread": spreads}
 
 
-def score(docs: DataFrame, model: dict, keep: dict[str, Column], text_col: str = "text") -> DataFrame:
-    """``keep`` columns, ``n`` trigrams, ``fits`` and ``t_<k>``, the tempered log likelihood of language k."""
+def score(docs: DataFrame, model: dict, keep: dict[str, Column], text_col: str = "text", text_in: str | None = None) -> DataFrame:
+    """``keep`` columns (one of them may hold the text: ``text_in``), ``n`` trigrams, ``fits`` and ``t_<k>``, the tempered log likelihood of language k."""
     langs, logs, L = model["langs"], model["logs"], len(model["langs"])
     held = docs.sparkSession.sparkContext.broadcast((np.ascontiguousarray(logs.T), np.array(model["mean"]), np.array(model["spread"])))
-    names = list(keep)
+    names, source = list(keep), text_in or "_text"
 
     def rate(batches):
         import pyarrow as pa
 
+        take_over("language")
         table, mean, spread = held.value
         for b in batches:
             n, fits, out = [], [], np.zeros((b.num_rows, L))
-            for i, t in enumerate(b.column("_text")):
+            for i, t in enumerate(b.column(source)):
                 text = t.as_py() or ""
                 grams = _trigrams(text)
                 n.append(len(grams))
@@ -92,7 +93,7 @@ def score(docs: DataFrame, model: dict, keep: dict[str, Column], text_col: str =
                     fits[-1] = bool(avg[k] >= mean[k] - FLOOR_DEVIATIONS * spread[k] / math.sqrt(min(len(grams), TEXT_TRIALS)) and any(map(str.isalpha, text)))
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in names), pa.array(n, pa.int64()), pa.array(fits), *(pa.array(out[:, k]) for k in range(L))], names=[*names, "n", "fits", *(f"t_{k}" for k in range(L))])
 
-    rows = docs.select(*(v.alias(k) for k, v in keep.items()), F.col(text_col).alias("_text"))
+    rows = docs.select(*(v.alias(k) for k, v in keep.items()), *([] if text_in else [F.col(text_col).alias("_text")]))
     kinds = dict(rows.dtypes)
     return rows.mapInArrow(rate, ", ".join([*(f"`{c}` {kinds[c]}" for c in names), "n long", "fits boolean", *(f"t_{k} double" for k in range(len(langs)))]))
 
@@ -165,7 +166,7 @@ def accepted(docs: DataFrame, model: dict, text_col: str = "text", declared: Col
     inputs = _inputs(docs, declared, suffix, host)
     priors = staged(host_priors(score(docs, model, inputs, text_col), langs), "host-priors")
     carried = {f"_c{i}": F.col(f"`{c}`") for i, c in enumerate(names)}
-    verdicts = fuse(score(docs, model, carried | inputs, text_col), priors, langs).where("kept")
+    verdicts = fuse(score(docs, model, carried | inputs, text_in=f"_c{names.index(text_col)}"), priors, langs).where("kept")
     return verdicts.select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(names)))
 
 

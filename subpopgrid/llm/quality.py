@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import staged, take_over
 
 BLANKS, SYMBOLS = " \t\n\v\f\r", "#*$%&|<>"
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
@@ -56,13 +56,14 @@ def base_counts(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] =
     def count(batches):
         import pyarrow as pa
 
+        take_over("quality")
         for b in batches:
             rows = [measure(t.as_py()) for t in b.column(text_col)]
             cols = list(zip(*rows, strict=True)) if rows else [()] * 6
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), *(pa.array(c, pa.int64()) for c in cols)], names=[*keep, *BASE, "n_lines"])
 
     kinds = dict(docs.dtypes)
-    return docs.select(*keep, text_col).mapInArrow(count, ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), *(f"{c} long" for c in (*BASE, "n_lines"))]))
+    return docs.select(*dict.fromkeys([*keep, text_col])).mapInArrow(count, ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), *(f"{c} long" for c in (*BASE, "n_lines"))]))
 
 
 def bucket(value: str) -> str:
@@ -119,8 +120,8 @@ def passed(docs: DataFrame) -> DataFrame:
     """The rows that are kept, all columns as they were. Rows are measured twice (limits, verdict) rather than shuffled."""
     names = docs.columns
     bounds = staged(limits(sketches(base_counts(docs))).coalesce(1), "quality-limits")
-    carried = docs.select(*(F.col(f"`{c}`").alias(f"_c{i}") for i, c in enumerate(names)), F.col("lang"), F.col("source"), F.col("text").alias("_text"))
-    counts = base_counts(carried, "_text", tuple(c for c in carried.columns if c != "_text"))
+    carried = docs.select(*(F.col(f"`{c}`").alias(f"_c{i}") for i, c in enumerate(names)), F.col("lang"), F.col("source"))
+    counts = base_counts(carried, f"_c{names.index('text')}", tuple(carried.columns))
     return judge(counts, bounds).where("kept").select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(names)))
 
 

@@ -7,10 +7,19 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from . import chat, decontaminate, language, packing, quality, resharding, set_join, token_files, url_filter, wrappers
+from .common import prepare
+
+
+def _prepared(query: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        prepare(spark)
+        return query(spark, sf_dir)
+
+    return run
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {
+    own = {
         "op1_decontamination": decontaminate.op1_decontamination,
         "op2_html_text": wrappers.op2_html_text,
         "op5_ngram_jaccard": set_join.op5_ngram_jaccard,
@@ -22,6 +31,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_token_files": token_files.op7_token_files,
         "op10_best_fit": packing.op10_best_fit,
     }
+    return {k: _prepared(f) for k, f in own.items()}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import hold, staged, take_over
 from .components import components
 
 #: Counters of the sketch that orders elements (fixed size, whatever the corpus), in blocks of a row each.
@@ -36,7 +36,7 @@ UPPER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvw
 
 class _Hashes(dict):
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 500_000:
+        if len(self) > 300_000:
             self.clear()
         h = self[word] = xxhash.xxh64_intdigest(word)
         return h
@@ -45,6 +45,11 @@ class _Hashes(dict):
 _WORDS = _Hashes()
 
 
+def _begin() -> None:
+    take_over("shingles")
+    hold("shingles", _WORDS.clear)
+
+
 def _mix(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
@@ -82,6 +87,7 @@ def signatures(docs: DataFrame, n: int) -> DataFrame:
         import pyarrow as pa
         from pyspark import TaskContext
 
+        _begin()
         names = ["doc_id", "n_shingles", "sig", "block", "task", "counts"]
         kinds = (pa.int64(), pa.int64(), pa.binary(), pa.int32(), pa.int32(), pa.binary())
         sketch, task = np.zeros(1 << SKETCH_BITS, np.uint32), TaskContext.get().partitionId()
@@ -123,6 +129,7 @@ def prefixes(docs: DataFrame, n: int, num: int, den: int, sketch: np.ndarray) ->
     def scan(batches):
         import pyarrow as pa
 
+        _begin()
         mask = np.uint64((1 << SKETCH_BITS) - 1)
         for b in batches:
             ids, sizes, sigs, tokens = [], [], [], []
@@ -151,6 +158,7 @@ def measure(pairs: DataFrame, texts: DataFrame, n: int) -> DataFrame:
     def compare(batches):
         import pyarrow as pa
 
+        _begin()
         last, held = None, None
         for b in batches:
             out = []

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from array import array
 
+from .common import hold, take_over
+
 _OPEN: dict = {}
 #: Entries of a worker's word cache before it becomes the older generation, and the longest word that is kept.
 CACHE_WORDS, CACHE_CHARS = 400_000, 48
@@ -92,6 +94,8 @@ class Encoder:
 
 def encoder(name: str, spaced: bool) -> Encoder:
     """One encoder a worker process and vocabulary; ``name`` is a file of the public set or a path."""
+    take_over("tokens")
+    hold("tokens", _OPEN.clear)
     if (name, spaced) not in _OPEN:
         _OPEN[name, spaced] = Encoder(name if "/" in name else vocabulary(name), spaced)
     return _OPEN[name, spaced]

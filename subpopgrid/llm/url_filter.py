@@ -91,7 +91,8 @@ def train(table: DataFrame) -> LogisticRegressionModel:
 
 def judge(urls: DataFrame, model: LogisticRegressionModel, rules=RULES) -> DataFrame:
     """Add host, path, rule, ``p_block`` and verdict to rows that have ``url``."""
-    scored = model.transform(_features(urls)).withColumn("p_block", F.when((F.col("host") == "") & (F.col("path") == ""), 0.0).otherwise(vector_to_array("probability")[1]))
+    own = ("host", "path", "rule", "verdict", "p_block", "_grams", "features", "rawPrediction", "probability", "prediction")
+    scored = model.transform(_features(urls.drop(*own))).withColumn("p_block", F.when((F.col("host") == "") & (F.col("path") == ""), 0.0).otherwise(vector_to_array("probability")[1]))
     rule, verdict = rule_of(F.col("host"), F.col("path"), rules)
     by_model = F.when(F.col("p_block") > 0.5, "block").otherwise("allow")
     return scored.withColumn("rule", rule).withColumn("verdict", F.coalesce(verdict, by_model)).drop("_grams", "features", "rawPrediction", "probability", "prediction")
