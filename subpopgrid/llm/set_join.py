@@ -192,7 +192,7 @@ def classes(docs: DataFrame, n: int, num: int, den: int, id_col: str = "doc_id",
     # index lists of the classes; lists of one set answer nothing
     own = prefixes(texts, n, num, den, sketch).join(reps.withColumnRenamed("sig", "_sig"), (F.col("id") == F.col("rep")) & (F.col("sig") == F.col("_sig"))).select("id", "size", "sig", "tokens")
     sets = staged(own.dropDuplicates(["id", "sig"]), "prefixes")
-    rows = staged(sets.select("id", "size", F.posexplode("tokens").alias("pos", "token")), "index")
+    rows = sets.select("id", "size", F.posexplode("tokens").alias("pos", "token"))  # read from storage, cheap to repeat
     several = staged(rows.groupBy("token").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("token").alias("_token")), "lists")
     lists = staged(rows.join(several, F.col("token") == F.col("_token"), "left_semi").withColumn("band", F.floor(F.log("size") / math.log(den / num) + 1e-9)), "lists")
 
@@ -211,7 +211,7 @@ def classes(docs: DataFrame, n: int, num: int, den: int, id_col: str = "doc_id",
     nearest = measured.groupBy("b").agg(F.max_by("a", F.col("overlap") * (1 << 32) + F.pmod("a", F.lit(1 << 32))).alias("near"), F.max("overlap").alias("shared"))
     known = staged(lists.join(reached.withColumnRenamed("id", "_id"), F.col("id") == F.col("_id"), "left").join(nearest, F.col("id") == F.col("b"), "left").select("token", "id", "size", "pos", F.coalesce("component", "id").alias("comp"), "near", "shared"), "known")
     mixed = staged(known.groupBy("token").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 < c1").select(F.col("token").alias("_t")), "mixed")
-    open_ = staged(known.join(mixed, F.col("token") == F.col("_t"), "left_semi"), "open")
+    open_ = known.join(mixed, F.col("token") == F.col("_t"), "left_semi")
     x, y = (open_.select(*(F.col(c).alias(f"{c}_{s}") for c in open_.columns)) for s in "ab")
     near = x.join(y, (F.col("token_a") == F.col("token_b")) & (F.col("comp_a") < F.col("comp_b")) & F.expr(f"{den} * least(size_a, size_b) >= {num} * greatest(size_a, size_b)") & F.expr(fits("size_a", "pos_a", "size_b", "pos_b")))
     upper = "least(shared_a, shared_b) + least(size_a - shared_a, size_b - shared_b)"
