@@ -33,7 +33,8 @@ def _windowed(alias: str = "w") -> str:
     return f"SELECT strftime({alias}, '%Y-%m-%d %H:%M:%S') AS win"
 
 
-_TEXT = F.date_format("win", "yyyy-MM-dd HH:mm:ss").alias("win")
+def _text():
+    return F.date_format("win", "yyyy-MM-dd HH:mm:ss").alias("win")
 
 
 def _pairs_sql(seconds: int) -> str:
@@ -48,12 +49,12 @@ def _pairs_sql(seconds: int) -> str:
 def _hourly(spark, sf_dir):
     """Complete mode keeps every window until the end."""
     out = SW.window_pairs(_stream(spark, sf_dir), _SPEC, _win(3600))
-    return SW.drain(out, "complete", scratch(spark, "hourly")).select(_TEXT, "subpop_key", "m", "f")
+    return SW.drain(out, "complete", scratch(spark, "hourly")).select(_text(), "subpop_key", "m", "f")
 
 
 @query("stream_foreach_batch_store", "win:s subpop_key:s m:l f:l", _pairs_sql(3600) + "@@ " + _windowed() + ", subpop_key, m, f FROM pairs")
 def _store(spark, sf_dir):
-    return SW.merge_into_store(_stream(spark, sf_dir), _SPEC, 3600, scratch(spark, "batches")).select(_TEXT, "subpop_key", "m", "f")
+    return SW.merge_into_store(_stream(spark, sf_dir), _SPEC, 3600, scratch(spark, "batches")).select(_text(), "subpop_key", "m", "f")
 
 
 _DAY = 86400
@@ -69,7 +70,7 @@ def _tumbling(spark, sf_dir):
     """A grid a day: the window's pairs in their cells, heaps wide enough to hold them."""
     pairs = SW.merge_into_store(_stream(spark, sf_dir), _SPEC, _DAY, scratch(spark, "daily"))
     cells = SW.window_cells(pairs.select("win", "subpop_key", "m", "f"), _CFG)
-    return cells.groupBy("win", "subpop_key", "grid_row").agg(F.sum("f").alias("l1"), F.count(F.lit(1)).alias("card")).select(_TEXT, "subpop_key", "grid_row", "l1", "card")
+    return cells.groupBy("win", "subpop_key", "grid_row").agg(F.sum("f").alias("l1"), F.count(F.lit(1)).alias("card")).select(_text(), "subpop_key", "grid_row", "l1", "card")
 
 
 @query(
@@ -95,7 +96,7 @@ def _w14(spark, sf_dir):
 )
 def _sliding(spark, sf_dir):
     out = _stream(spark, sf_dir).groupBy(F.window("ts", "2 hours", "1 hour")["start"].alias("win"), "event_type").agg(F.count(F.lit(1)).alias("n"))
-    return SW.drain(out, "complete", scratch(spark, "sliding")).select(_TEXT, "event_type", "n")
+    return SW.drain(out, "complete", scratch(spark, "sliding")).select(_text(), "event_type", "n")
 
 
 @query(
@@ -106,7 +107,7 @@ def _sliding(spark, sf_dir):
 )
 def _session(spark, sf_dir):
     out = _stream(spark, sf_dir).groupBy("user_id", F.session_window("ts", "30 minutes").alias("s")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("s.start").alias("win"), "n")
-    return SW.drain(out, "complete", scratch(spark, "session")).select("user_id", _TEXT, "n")
+    return SW.drain(out, "complete", scratch(spark, "session")).select("user_id", _text(), "n")
 
 
 @query("stream_dedup", "event_type:s n:l", "@@ SELECT event_type, count(DISTINCT (user_id, floor(value))) AS n FROM events GROUP BY event_type")
@@ -125,7 +126,7 @@ def _static(spark, sf_dir):
 def _late(spark, sf_dir):
     """Append mode: a window comes out once the watermark passes it; later rows of it are dropped."""
     out = _stream(spark, sf_dir).withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 hour").alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("win"), "event_type", "n")
-    return SW.drain(out, "append", scratch(spark, "late")).select(_TEXT, "event_type", "n")
+    return SW.drain(out, "append", scratch(spark, "late")).select(_text(), "event_type", "n")
 
 
 @query("stream_stateful_heap", "event_type:s m:l f:l")
