@@ -1,14 +1,21 @@
-"""The bounded builder: one sparse grid a task, over Arrow batches, then a merge of bounded state.
+"""The bounded builder: one grid a task, over Arrow batches, then a merge of bounded state.
 
-A task never holds more than ``max_entries`` candidate keys and ``max_cells`` counter blocks: beyond that it emits what
-it has and begins anew, which is safe as states add. Rows out of a task are bounded by the configuration, so the
-shuffle behind it doesn't grow with the records.
+A task collapses equal combinations of all dimensions and value, fans the collapsed rows out as arrays, and keeps for
+every (cell, layer) its largest candidates and, unless the state is heaps only, its counters. It never holds more than
+``max_entries`` candidates, collapsed rows or touched counters: beyond that it cuts, or emits what it has and begins
+anew, which is safe as states add. Rows out of a task are bounded by the configuration, so the shuffle behind it does
+not grow with the records.
+
+``hash_fn='md5'`` hashes canonical texts and so gives the declarative build's counters bit for bit (slow: for checks);
+``xxhash64`` mixes per-dimension hashes, which makes 2^D cuboids affordable. Mixed cells are the builder's own: with
+pair keys queries find their subpopulations by key, so only bare-value grids need md5 here.
 """
 
 from __future__ import annotations
 
 import hashlib
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -17,122 +24,206 @@ from ..schema import SEPARATOR, GridConfig, WorkloadSpec
 from . import universal as U
 from .fanout import weight_of
 from .grid import GridState
-from .merge import add_counters
+from .merge import add_counters, tree_merge
 
 SCHEMA = "part int, kind string, grid_row int, grid_col int, layer int, cs_row int, cs_col int, c long, subpop_key string, m long, f long, depth int"
 
 
-class _Builder:
-    """One task's grid."""
-
-    def __init__(self, spec: WorkloadSpec, cfg: GridConfig, part: int, max_entries: int, max_cells: int):
-        import numpy as np
-
-        self.np, self.spec, self.cfg, self.part, self.max_entries, self.max_cells = np, spec, cfg, part, max_entries, max_cells
-        self.plan, self.cells, self.heap, self.columns = hash_plan(cfg), {}, {}, {}
-
-    def column_of(self, key: str) -> list[int]:
-        if key not in self.columns:
-            if len(self.columns) > self.max_entries:
-                self.columns.clear()
-            cfg = self.cfg
-            if cfg.hash_fn == "md5":
-                h, d = hashlib.md5(f"s{cfg.salt}|{key}".encode()).hexdigest(), self.plan["col_digits"]
-                self.columns[key] = [int(h[i * d : (i + 1) * d], 16) % cfg.w for i in range(cfg.r)]
-            else:
-                import xxhash
+def _mix(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
 
-                self.columns[key] = [xxhash.xxh3_64_intdigest(key.encode(), seed=1000 * cfg.salt + i) % cfg.w for i in range(cfg.r)]
-        return self.columns[key]
 
-    def fields_of(self, text: str) -> list[int]:
-        cfg, plan = self.cfg, self.plan
-        rows = [0 if cfg.row_bits == "shared" else i for i in range(cfg.r)]
-        if cfg.hash_fn == "md5":
-            if plan["one"]:
-                h, d = hashlib.md5(f"p{cfg.salt}|{text}".encode()).hexdigest(), plan["digits"]
-                return [int(h[i * d : (i + 1) * d], 16) for i in rows]
-            return [int(hashlib.md5(f"p{cfg.salt}|{i}|{text}".encode()).hexdigest()[:HEX], 16) for i in rows]
-        import xxhash
+def _seed(*parts) -> np.uint64:
+    return np.uint64(int(hashlib.md5("|".join(map(str, parts)).encode()).hexdigest()[:16], 16))
+
 
-        if plan["one"]:
-            h = xxhash.xxh3_128_intdigest(text.encode(), seed=cfg.salt)
-            return [(h >> (128 // cfg.r * i)) & ((1 << 4 * plan["digits"]) - 1) for i in rows]
-        return [xxhash.xxh3_64_intdigest(text.encode(), seed=1000 * cfg.salt + i) >> 4 for i in rows]
+def _text(v) -> str:
+    return "\\N" if v is None or v != v else str(v).replace("\\", "\\\\").replace(SEPARATOR, "\\u")
+
+
+class _Builder:
+    """One task's grid as flat arrays."""
+
+    def __init__(self, spec: WorkloadSpec, cfg: GridConfig, part: int, max_entries: int):
+        if cfg.key_mode == "metric" and cfg.hash_fn != "md5":
+            raise ValueError("bare values need md5 here: queries must find the builder's cells")
+        self.spec, self.cfg, self.part, self.max_entries = spec, cfg, part, max_entries
+        self.plan, self.frames, self.waiting = hash_plan(cfg), [], 0
+        self.counted = cfg.merge_mode == "full"
+        self.reset()
+
+    def reset(self) -> None:
+        self.counters: tuple[np.ndarray, np.ndarray] = (np.empty(0, np.int64), np.empty(0, np.int64))
+        self.entries = {k: np.empty(0, t) for k, t in (("cell", np.int64), ("pair", np.uint64), ("sub", np.uint64), ("m", np.int64), ("f", np.int64), ("depth", np.int64))}
+        self.names: dict[int, str] = {}
 
     def add(self, frame) -> None:
-        """One batch: equal combinations first become one row, then every cuboid's pairs."""
-        spec, cfg = self.spec, self.cfg
-        frame = frame.groupby([*spec.dims, "m"], dropna=False, sort=False)["wgt"].sum().reset_index()
-        text = {d: frame[d].map(lambda v: "\\N" if v is None or v != v else str(v).replace("\\", "\\\\").replace(SEPARATOR, "\\u")) for d in spec.dims}
-        for cuboid in spec.sets():
-            key = frame["m"].map(lambda _: "")
-            for i, d in enumerate(cuboid):
-                key = key + text[d] if i == 0 else key + SEPARATOR + text[d]
-            key = f"{spec.gid(cuboid)}|" + key
-            for (k, m), f in frame["wgt"].groupby([key, frame["m"]], sort=False).sum().items():
-                self.add_pair(k, int(m), int(f))
-        if sum(map(len, self.heap.values())) > self.max_entries:
-            self.trim()
-
-    def add_pair(self, key: str, m: int, f: int) -> None:
-        cfg = self.cfg
-        name = key if cfg.key_mode == "pair" else ""
-        fields = self.fields_of(f"{key}{SEPARATOR}{m}" if cfg.key_mode == "pair" else str(m))
-        for row, (col, x) in enumerate(zip(self.column_of(key), fields, strict=True)):
-            depth = 0
-            while depth < cfg.layers - 1 and x >> depth & 1:
-                depth += 1
-            for layer in (depth,) if cfg.layer_mode == "deepest" else range(depth + 1):
-                cell = (row, col, layer)
-                if (block := self.cells.get(cell)) is None:
-                    block = self.cells[cell] = self.np.zeros((cfg.r_cs, cfg.w_cs), self.np.int64)
-                for j in range(cfg.r_cs):
-                    at = cfg.layers - 1 + j * (cfg.cs_bits + 1)
-                    block[j, x >> at & (cfg.w_cs - 1)] += f if x >> (at + cfg.cs_bits) & 1 else -f
-                heap = self.heap.setdefault(cell, {})
-                heap[name, m, depth] = heap.get((name, m, depth), 0) + f
-
-    def trim(self) -> None:
-        for cell, heap in self.heap.items():
-            if len(heap) > 2 * self.cfg.k:
-                self.heap[cell] = dict(sorted(heap.items(), key=lambda e: (-e[1], e[0]))[: self.cfg.k])
+        self.frames.append(self.collapse(frame))
+        self.waiting += len(self.frames[-1])
+        if self.waiting > self.max_entries // 8 and len(self.frames) > 1:
+            self.frames = [self.collapse(self.joined())]
+            self.waiting = len(self.frames[0])
+        if self.waiting > self.max_entries // 8:
+            self.fan_out()
 
-    def full(self) -> bool:
-        return len(self.cells) > self.max_cells or sum(map(len, self.heap.values())) > self.max_entries
-
-    def rows(self) -> list[tuple]:
-        out = []
-        for (row, col, layer), block in self.cells.items():
-            out += [(self.part, "c", row, col, layer, int(j), int(k), int(block[j, k]), None, None, None, None) for j, k in zip(*self.np.nonzero(block), strict=True)]
-        for (row, col, layer), heap in self.heap.items():
-            top = sorted(heap.items(), key=lambda e: (-e[1], e[0]))[: self.cfg.k]
-            out += [(self.part, "h", row, col, layer, None, None, None, name, m, f, depth) for (name, m, depth), f in top]
-        self.cells, self.heap = {}, {}
+    def collapse(self, frame):
+        return frame.groupby([*self.spec.dims, "m"], dropna=False, sort=False)["wgt"].sum().reset_index()
+
+    def joined(self):
+        import pandas as pd
+
+        return pd.concat(self.frames, ignore_index=True)
+
+    def fan_out(self) -> None:
+        """Pairs of every cuboid of the collapsed rows, into cells."""
+        import pandas as pd
+        import xxhash
+
+        if not self.frames:
+            return
+        frame = self.collapse(self.joined()) if len(self.frames) > 1 else self.frames[0]
+        self.frames, self.waiting = [], 0
+        m, w = frame["m"].to_numpy(np.int64), frame["wgt"].to_numpy(np.int64)
+        codes, texts, hashes = {}, {}, {}
+        for d in self.spec.dims:
+            c, values = pd.factorize(frame[d].map(_text), sort=False)
+            codes[d], texts[d] = c, list(values)
+            hashes[d] = np.array([xxhash.xxh64_intdigest(t.encode(), seed=self.cfg.salt) for t in texts[d]], np.uint64)
+        for cuboid in self.spec.sets():
+            gid = self.spec.gid(cuboid)
+            sub = np.full(len(m), _seed(self.cfg.salt, gid), np.uint64)
+            for d in cuboid:
+                sub = _mix(sub * np.uint64(0x9E3779B97F4A7C15) + hashes[d][codes[d]])
+            pair = _mix(sub * np.uint64(0xD1B54A32D192ED03) + _mix(m.astype(np.uint64) + np.uint64(0x632BE59BD9B4E019)))
+            order = np.argsort(pair, kind="stable")
+            first = np.flatnonzero(np.r_[True, pair[order][1:] != pair[order][:-1]])
+            at, f = order[first], np.add.reduceat(w[order], first)
+            key = lambda i, c=cuboid, g=gid: f"{g}|" + SEPARATOR.join(texts[d][codes[d][i]] for d in c)
+            self.to_cells(sub[at], pair[at], m[at], f, at, key)
+
+    def fields(self, sub, pair, m, at, key) -> list[tuple[np.ndarray, np.ndarray]]:
+        """(grid column, bit fields) of every grid row."""
+        cfg, plan = self.cfg, self.plan
+        rows = [0 if cfg.row_bits == "shared" else i for i in range(cfg.r)]
+        if cfg.hash_fn != "md5":
+            return [((_mix(sub + _seed("col", i)) % np.uint64(cfg.w)).astype(np.int64), (_mix(pair + _seed("x", k)) >> np.uint64(4)).astype(np.int64)) for i, k in enumerate(rows)]
+        md5 = lambda t: hashlib.md5(t.encode()).hexdigest()
+        names, d, out = [key(i) for i in at], plan["col_digits"], []
+        cols = [md5(f"s{cfg.salt}|{n}") for n in names]
+        full = [f"{n}{SEPARATOR}{v}" if cfg.key_mode == "pair" else str(v) for n, v in zip(names, m, strict=True)]
+        once = [md5(f"p{cfg.salt}|{t}") for t in full] if plan["one"] else None
+        for i, k in enumerate(rows):
+            col = np.array([int(h[i * d : (i + 1) * d], 16) % cfg.w for h in cols], np.int64)
+            if once is not None:
+                x = [int(h[k * plan["digits"] : (k + 1) * plan["digits"]], 16) for h in once]
+            else:
+                x = [int(md5(f"p{cfg.salt}|{k}|{t}")[:HEX], 16) for t in full]
+            out.append((col, np.array(x, np.int64)))
         return out
 
+    def to_cells(self, sub, pair, m, f, at, key) -> None:
+        cfg = self.cfg
+        mask, new = (1 << (cfg.layers - 1)) - 1, []
+        if cfg.key_mode == "metric":
+            name, ident = np.zeros(len(m), np.uint64), _mix(m.astype(np.uint64))
+        else:
+            name, ident = sub, pair
+        for row, (col, x) in enumerate(self.fields(sub, pair, m, at, key)):
+            low = x & mask
+            depth = np.bitwise_count(low ^ (low + 1)).astype(np.int64) - 1
+            for layer in range(cfg.layers if cfg.layer_mode == "nested" else 1):
+                pick = depth >= layer
+                if cfg.layer_mode == "nested" and not pick.any():
+                    break
+                level = np.full(int(pick.sum()), layer) if cfg.layer_mode == "nested" else depth
+                cell = (row * cfg.w + col[pick]) * cfg.layers + level
+                new.append({"cell": cell, "pair": ident[pick], "sub": name[pick], "m": m[pick], "f": f[pick], "depth": depth[pick], "at": at[pick]})
+                if self.counted:
+                    for j in range(cfg.r_cs):
+                        start = cfg.layers - 1 + j * (cfg.cs_bits + 1)
+                        slot = (cell * cfg.r_cs + j) * cfg.w_cs + (x[pick] >> start & (cfg.w_cs - 1))
+                        self.count(slot, f[pick] * ((x[pick] >> (start + cfg.cs_bits) & 1) * 2 - 1))
+        fresh = {k: np.concatenate([p[k] for p in new]) for k in new[0]}
+        rows = fresh.pop("at")
+        both = {k: np.concatenate([self.entries[k], fresh[k]]) for k in self.entries}
+        kept, first = self.cut(both)
+        n = len(self.entries["cell"])
+        self.entries = kept
+        if cfg.key_mode == "pair":  # texts only of what is kept
+            for s, i in zip(both["sub"][first], first, strict=True):
+                if i >= n and int(s) not in self.names:
+                    self.names[int(s)] = key(rows[i - n])
+            if len(self.names) > 4 * self.max_entries:
+                alive = set(kept["sub"].tolist())
+                self.names = {s: t for s, t in self.names.items() if s in alive}
+
+    def count(self, slot, value) -> None:
+        slots, inverse = np.unique(np.concatenate([self.counters[0], slot]), return_inverse=True)
+        sums = np.zeros(len(slots), np.int64)
+        np.add.at(sums, inverse, np.concatenate([self.counters[1], value]))
+        self.counters = (slots, sums)
+
+    def cut(self, e: dict, k: int | None = None) -> tuple[dict, np.ndarray]:
+        """Equal keys of a cell become one; with too many, each cell keeps its 2k (or k) largest. Also where each came first."""
+        order = np.lexsort((e["pair"], e["cell"]))
+        cell, pair = e["cell"][order], e["pair"][order]
+        first = np.flatnonzero(np.r_[True, (cell[1:] != cell[:-1]) | (pair[1:] != pair[:-1])]) if len(cell) else np.empty(0, int)
+        f = np.add.reduceat(e["f"][order], first) if len(first) else np.empty(0, np.int64)
+        at = order[first]
+        out = {c: e[c][at] for c in e} | {"f": f}
+        if k or len(f) > self.max_entries:
+            by = np.lexsort((out["pair"], -f, out["cell"]))
+            c = out["cell"][by]
+            start = np.flatnonzero(np.r_[True, c[1:] != c[:-1]]) if len(c) else np.empty(0, int)
+            place = np.arange(len(c)) - np.repeat(start, np.diff(np.r_[start, len(c)]))
+            by = by[place < (k or 2 * self.cfg.k)]
+            out, at = {n: v[by] for n, v in out.items()}, at[by]
+        return out, at
 
-def build_parts(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig, max_entries: int = 1_000_000, max_cells: int = 40_000) -> DataFrame:
-    """Rows of every task's counters (kind ``c``) and heaps (kind ``h``)."""
+    def full(self) -> bool:
+        return len(self.counters[0]) > 4 * self.max_entries
+
+    def emit(self):
+        """The task's rows so far, as columns; then empty."""
+        cfg, (slots, sums) = self.cfg, self.counters
+        live = sums != 0
+        slots, sums = slots[live], sums[live]
+        cell = slots // (cfg.r_cs * cfg.w_cs)
+        yield "c", {"cell": cell, "cs_row": slots // cfg.w_cs % cfg.r_cs, "cs_col": slots % cfg.w_cs, "c": sums}
+        top, _ = self.cut(self.entries, cfg.k)
+        yield "h", {"cell": top["cell"], "subpop_key": [self.names.get(int(s), "") for s in top["sub"]], "m": top["m"], "f": top["f"], "depth": top["depth"]}
+        self.reset()
+
+
+def build_parts(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig, max_entries: int = 1_000_000) -> DataFrame:
+    """Rows of every task's counters (kind ``c``; none in heap-only states) and heaps (kind ``h``)."""
     rows = df.select(*spec.dims, F.col(spec.metric).cast("long").alias("m"), weight_of(spec).alias("wgt"))
+    columns = [c.split() for c in SCHEMA.split(", ")]
 
     def build(batches):
         import pyarrow as pa
         from pyspark import TaskContext
 
-        names = [c.split()[0] for c in SCHEMA.split(", ")]
-        kinds = [{"int": pa.int32(), "long": pa.int64(), "string": pa.string()}[c.split()[1]] for c in SCHEMA.split(", ")]
-        one = _Builder(spec, cfg, TaskContext.get().partitionId(), max_entries, max_cells)
+        kinds = {"int": pa.int32(), "long": pa.int64(), "string": pa.string()}
+        one = _Builder(spec, cfg, TaskContext.get().partitionId(), max_entries)
 
         def emit():
-            rows = one.rows()
-            for i in range(0, len(rows), 20_000):
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows[i : i + 20_000], strict=True), kinds, strict=True)], names=names)
+            for kind, found in one.emit():
+                cell = found.pop("cell")
+                found |= {"grid_row": cell // (cfg.layers * cfg.w), "grid_col": cell // cfg.layers % cfg.w, "layer": cell % cfg.layers}
+                for i in range(0, len(cell), 50_000):
+                    n = min(50_000, len(cell) - i)
+                    fixed = {"part": pa.array([one.part] * n, pa.int32()), "kind": pa.array([kind] * n)}
+                    yield pa.RecordBatch.from_arrays([fixed[c] if c in fixed else pa.array(found[c][i : i + n]).cast(kinds[k]) if c in found else pa.nulls(n, kinds[k]) for c, k in columns], names=[c for c, _ in columns])
 
         for b in batches:
-            one.add(pa.Table.from_batches([b]).to_pandas(integer_object_nulls=True))
-            if one.full():
-                yield from emit()
+            if b.num_rows:
+                one.add(pa.Table.from_batches([b]).to_pandas(integer_object_nulls=True))
+                if one.full():
+                    yield from emit()
+        one.fan_out()
         yield from emit()
 
     return rows.mapInArrow(build, SCHEMA)
@@ -140,16 +231,13 @@ def build_parts(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig, max_entries:
 
 def build_bounded(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig, **limits) -> GridState:
     """Task grids merged by sums: the scalable build. Heap values are the tasks' tracked counts."""
-    from .merge import tree_merge
-
     parts = build_parts(df, spec, cfg, **limits)
     heaps = parts.where("kind = 'h'").select("part", *U.CELL, "layer", "subpop_key", "m", "f", "depth")
     counters = parts.where("kind = 'c'").select(*U.CELL, "layer", "cs_row", "cs_col", "c")
-    empty = GridState(spec, cfg, heaps)
-    return tree_merge(heaps, None if cfg.merge_mode == "heap_only" else counters, empty)
+    return tree_merge(heaps, None if cfg.merge_mode == "heap_only" else counters, GridState(spec, cfg, heaps))
 
 
 def bounded_counters(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig, **limits) -> DataFrame:
     """Merged counters: equal to the declarative build's, however records are split."""
-    parts = build_parts(df, spec, cfg, **limits).where("kind = 'c'")
+    parts = build_parts(df, spec, cfg.but(merge_mode="full"), **limits).where("kind = 'c'")
     return add_counters(parts).where("c != 0")

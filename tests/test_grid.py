@@ -197,7 +197,7 @@ def test_bounds_hold_for_pair_keys(spark):
 # --- the bounded build ---
 
 
-@pytest.mark.parametrize("limits", [{}, {"max_entries": 500, "max_cells": 40}])
+@pytest.mark.parametrize("limits", [{}, {"max_entries": 500}])
 def test_bounded_counters_equal_the_declarative_ones(spark, limits):
     df, s = view(spark, SF, "video"), spec_of("video", max_order=1)
     cells = U.to_cells(fanout.pair_counts(df, s), TINY)
