@@ -6,7 +6,8 @@
 2. A seed alone in a window is background; a seed that is background in more than ``RARE_SHARE`` of the documents
    (``RARE_LEAST`` at least) is not rare, and windows that have only such a seed go (unless the item is so short that
    a seed is half of it). A copied passage brings many seeds at once, so its copies never make its seeds common.
-3. Windows are aligned with their item, word by word. The score is the alignment's part of the item's own score.
+3. Windows are aligned with their item, word by word. The score is the alignment's part of the item's own score; half
+   of it is a match, and so is an alignment worth ``MIN_WORDS`` equal words, a passage of a long item.
 
 Test items are a small table: they are sent to the executors in blocks of bounded bytes, whatever their number.
 
@@ -30,7 +31,8 @@ from .common import BROADCAST_LIMIT, staged, take_over
 
 SEED_WORDS, RARE_SHARE, RARE_LEAST = 3, 0.001, 20
 MATCH, MISMATCH, GAP = 2, -1, -1
-MIN_SCORE = 0.5
+#: A match is an alignment worth this part of the item's own score, or so many words in a row wherever the item is long.
+MIN_SCORE, MIN_WORDS = 0.5, 13
 WORD = re.compile(r"\w+")
 WINDOWS = "doc_id long, item_id long, at long, window string, seeds array<long>"
 
@@ -59,6 +61,10 @@ def align(item: list, window: list) -> tuple[int, int]:
     return best, end
 
 
+def matches(best: int, item_words: int, min_score: float = MIN_SCORE) -> bool:
+    return best >= MATCH * min(min_score * item_words, MIN_WORDS)
+
+
 def seed_table(items: list[tuple[int, str]]) -> dict[int, dict[tuple, list[tuple[int, int]]]]:
     """Seed length -> seed -> (item, item's words)."""
     out: dict = {}
@@ -130,11 +136,11 @@ def score_windows(found: DataFrame, items: list[tuple[int, str]], min_score: flo
             for doc, item, at, text in zip(*(b.column(c).to_pylist() for c in ("doc_id", "item_id", "at", "window")), strict=True):
                 words, window = held.value[item], text.split(" ")
                 most = sum((Counter(words) & Counter(window)).values())
-                if most < min_score * len(words):  # cannot reach the score: every match needs a common word
+                if most < min(min_score * len(words), MIN_WORDS):  # cannot reach the score: every match needs a common word
                     continue
                 best, end = align(words, window)
                 score = best / (MATCH * len(words))
-                if score >= min_score:
+                if matches(best, len(words), min_score):
                     _, back = align(words[::-1], window[:end][::-1])
                     out.append((doc, item, round(score, 4), at + end - back, at + end))
             cols = list(zip(*out, strict=True)) if out else [()] * 5

@@ -35,7 +35,7 @@ def test_run_equals_brute_force(spark):
         for r in items:
             item = decontaminate.words_of(r["text"])
             if grams & set(zip(item, item[1:], item[2:], strict=False)):
-                if plain_smith_waterman(item, words) >= decontaminate.MIN_SCORE * decontaminate.MATCH * len(item):
+                if decontaminate.matches(plain_smith_waterman(item, words), len(item)):
                     return True
         return False
 
