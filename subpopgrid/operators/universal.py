@@ -49,9 +49,12 @@ def estimated(cells: DataFrame, state: DataFrame, cfg: GridConfig) -> DataFrame:
     keys = layered(cells, cfg)
     if cfg.heap_value == "tracked":
         return keys
-    cs = state.groupBy(*CELL, "layer").agg(F.map_from_entries(F.collect_list(F.struct((F.col("cs_row") * cfg.w_cs + F.col("cs_col")).alias("k"), F.col("c").alias("v")))).alias("_cs"))
+    sparse = F.map_from_entries(F.collect_list(F.struct((F.col("cs_row") * cfg.w_cs + F.col("cs_col")).alias("k"), F.col("c").alias("v"))))
+    # one dense array a (cell, layer): its keys then read counters by position
+    dense = F.transform(F.sequence(F.lit(0), F.lit(cfg.r_cs * cfg.w_cs - 1)), lambda i: F.coalesce(F.try_element_at(F.col("_cs"), i), F.lit(0).cast("long")))
+    cs = state.groupBy(*CELL, "layer").agg(sparse.alias("_cs")).withColumn("_cs", dense)
     joined = keys.join(cs, [*CELL, "layer"])
-    reads = F.array(*(sign(F.col("x"), j, cfg) * F.element_at("_cs", (F.lit(j * cfg.w_cs) + bucket(F.col("x"), j, cfg)).cast("int")) for j in range(cfg.r_cs)))
+    reads = F.array(*(sign(F.col("x"), j, cfg) * F.get("_cs", F.lit(j * cfg.w_cs) + bucket(F.col("x"), j, cfg)) for j in range(cfg.r_cs)))
     return joined.withColumn("f", F.sort_array(reads)[cfg.r_cs // 2]).drop("_cs")
 
 
