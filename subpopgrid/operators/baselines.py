@@ -31,6 +31,18 @@ def ground_truth(df: DataFrame, spec: WorkloadSpec) -> DataFrame:
     return truth(pair_counts(df, spec), ["subpop_key"])
 
 
+def quantiles_exact(df: DataFrame, spec: WorkloadSpec, points: tuple[float, ...] = (0.25, 0.5, 0.75)) -> DataFrame:
+    """Exact quantiles of the metric, weighted by pair counts."""
+    pairs = pair_counts(df, spec)
+    return pairs.groupBy("subpop_key").agg(*(F.expr(f"percentile(m, {p}D, f)").alias(f"q{round(100 * p)}") for p in points))
+
+
+def quantiles_sketched(df: DataFrame, spec: WorkloadSpec, points: tuple[float, ...] = (0.25, 0.5, 0.75)) -> DataFrame:
+    """Quantiles from one mergeable sketch a subpopulation."""
+    one = fan_out(df, spec).groupBy("subpop_key").agg(F.expr("kll_sketch_agg_bigint(m)").alias("s"))
+    return one.select("subpop_key", *(F.expr(f"kll_sketch_get_quantile_bigint(s, {p}D)").alias(f"q{round(100 * p)}") for p in points))
+
+
 def kv_build(df: DataFrame, spec: WorkloadSpec) -> DataFrame:
     """The key-value store: the count of every pair, made at ingestion."""
     return pair_counts(df, spec).select("subpop_key", "m", "f")

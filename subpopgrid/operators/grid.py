@@ -5,6 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.hashing import add_cells, canonical_key
@@ -95,6 +96,21 @@ def heavy_hitters(state: GridState, alpha: float, subpops: DataFrame | None = No
     return found.join(l1, "subpop_key").where(F.col("f") >= alpha * F.col("l1")).select("subpop_key", "m", "f")
 
 
+def weighted_median(state: GridState, subpops: DataFrame | None = None) -> DataFrame:
+    """(subpop_key, median): the middle of the recovered values, weighted by the fold. Best effort: no guarantee.
+
+    A row's value masses are sums of entry weights times counts; the median over the rows that hold the subpopulation.
+    """
+    nested = U.nested_view(state.heaps, state.cfg).withColumn("_w", U.entry_weight(state.cfg))
+    if subpops is not None:
+        nested = nested.join(subpops.select("subpop_key"), "subpop_key", "left_semi")
+    mass = nested.groupBy("subpop_key", "grid_row", "m").agg(F.sum(F.col("_w") * F.col("f")).alias("mass")).where("mass > 0")
+    line = W.partitionBy("subpop_key", "grid_row")
+    ranked = mass.withColumn("upto", F.sum("mass").over(line.orderBy("m"))).withColumn("whole", F.sum("mass").over(line))
+    rows = ranked.where("2 * upto >= whole").groupBy("subpop_key", "grid_row").agg(F.min("m").alias("mid"))
+    return rows.groupBy("subpop_key").agg(F.sort_array(F.collect_list("mid")).alias("v")).select("subpop_key", F.col("v")[F.floor((F.size("v") - 1) / 2).cast("int")].alias("median"))
+
+
 def discover(state: GridState, stat: str, least: float) -> DataFrame:
     """Subpopulations the heaps know whose estimate reaches ``least``."""
     if state.cfg.key_mode != "pair":

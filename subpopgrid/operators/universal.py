@@ -17,6 +17,8 @@ from ..functions.hashing import add_cells, add_fields, bucket, sign
 from ..schema import GridConfig
 
 CELL = ("grid_row", "grid_col")
+#: Dense counters of a whole grid up to this size are sent to every task.
+BROADCAST_BYTES = 64 << 20
 
 
 def to_cells(pairs: DataFrame, cfg: GridConfig) -> DataFrame:
@@ -53,7 +55,9 @@ def estimated(cells: DataFrame, state: DataFrame, cfg: GridConfig) -> DataFrame:
     # one dense array a (cell, layer): its keys then read counters by position
     dense = F.transform(F.sequence(F.lit(0), F.lit(cfg.r_cs * cfg.w_cs - 1)), lambda i: F.coalesce(F.try_element_at(F.col("_cs"), i), F.lit(0).cast("long")))
     cs = state.groupBy(*CELL, "layer").agg(sparse.alias("_cs")).withColumn("_cs", dense)
-    joined = keys.join(cs, [*CELL, "layer"])
+    # the configuration bounds the counters' size; a grid beyond the limit is joined by shuffle
+    small = cfg.r * cfg.w * cfg.layers * cfg.r_cs * cfg.w_cs * 8 <= BROADCAST_BYTES
+    joined = keys.join(F.broadcast(cs) if small else cs, [*CELL, "layer"])
     reads = F.array(*(sign(F.col("x"), j, cfg) * F.get("_cs", F.lit(j * cfg.w_cs) + bucket(F.col("x"), j, cfg)) for j in range(cfg.r_cs)))
     return joined.withColumn("f", F.sort_array(reads)[cfg.r_cs // 2]).drop("_cs")
 

@@ -113,6 +113,20 @@ def _per(spark, sf_dir):
     return B.sketch_per_subpop(view(spark, sf_dir, "docs"), spec_of("docs", max_order=2), _PER)
 
 
+@query(
+    "base_quantiles_exact",
+    "subpop_key:s q25:d q50:d q75:d",
+    O.pairs_ctes(view_sql("docs"), spec_of("docs", max_order=2)) + ", each AS (SELECT subpop_key, m FROM (SELECT subpop_key, m, unnest(range(f)) AS i FROM pairs))@@ SELECT subpop_key, quantile_cont(m, 0.25) AS q25, quantile_cont(m, 0.5) AS q50, quantile_cont(m, 0.75) AS q75 FROM each GROUP BY subpop_key",
+)
+def _quantiles(spark, sf_dir):
+    return B.quantiles_exact(view(spark, sf_dir, "docs"), spec_of("docs", max_order=2))
+
+
+@query("base_quantiles_sketch", "subpop_key:s q25:l q50:l q75:l")
+def _quantile_sketch(spark, sf_dir):
+    return B.quantiles_sketched(view(spark, sf_dir, "docs"), spec_of("docs", max_order=2))
+
+
 @query("base_stat_sketch_hll", "subpop_key:s card:l")
 def _hll(spark, sf_dir):
     return B.stat_sketch_per_subpop(view(spark, sf_dir, "flow_card"), spec_of("flow_card"))

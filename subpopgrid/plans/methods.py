@@ -238,6 +238,23 @@ def _mean_std(spark, sf_dir):
     return grid.estimate(_state(spark, sf_dir, TIGHT, "flow", max_order=1), _all(spark, sf_dir, "flow", max_order=1))
 
 
+@query("grid_euclidean", "subpop_key:s l2_root:d", O.grid_ctes("docs", TIGHT) + "@@ SELECT subpop_key, sqrt(l2) AS l2_root FROM estimates")
+def _euclid(spark, sf_dir):
+    return grid.estimate(_state(spark, sf_dir, TIGHT, "docs"), _all(spark, sf_dir, "docs")).withColumn("l2_root", F.sqrt("l2"))
+
+
+@query(
+    "grid_median",
+    "subpop_key:s median:l",
+    O.grid_ctes("flow", TIGHT, max_order=1) + ", mass AS (SELECT subpop_key, grid_row, m, sum(w * f) AS mass FROM weighted GROUP BY ALL HAVING sum(w * f) > 0), "
+    "ranked AS (SELECT *, sum(mass) OVER (PARTITION BY subpop_key, grid_row ORDER BY m) AS upto, sum(mass) OVER (PARTITION BY subpop_key, grid_row) AS whole FROM mass), "
+    "mids AS (SELECT subpop_key, grid_row, min(m) AS mid FROM ranked WHERE 2 * upto >= whole GROUP BY ALL)"
+    "@@ SELECT subpop_key, v[(len(v) - 1) // 2 + 1] AS median FROM (SELECT subpop_key, list_sort(list(mid)) AS v FROM mids GROUP BY subpop_key)",
+)
+def _median(spark, sf_dir):
+    return grid.weighted_median(_state(spark, sf_dir, TIGHT, "flow", max_order=1))
+
+
 _BINS = {f"bin{b}": f"CASE WHEN m > {10 * b} AND m <= {10 * b + 10} THEN f ELSE 0 END" for b in range(5)}
 
 

@@ -116,6 +116,13 @@ def _dedup(spark, sf_dir):
     return SW.drain(once, "append", scratch(spark, "dedup")).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("stream_dedup_within_watermark", "event_type:s n:l", "@@ SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type")
+def _dedup_watermark(spark, sf_dir):
+    """Ids dropped if they come again within the watermark."""
+    once = _stream(spark, sf_dir).withWatermark("ts", "30 days").dropDuplicatesWithinWatermark(["event_id"]).select("event_type", "event_id")
+    return SW.drain(once, "append", scratch(spark, "dedup-watermark")).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+
+
 @query("stream_static_join", "c_mktsegment:s n:l", "@@ SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY c_mktsegment")
 def _static(spark, sf_dir):
     out = _stream(spark, sf_dir).join(load(spark, sf_dir, "customer"), F.col("user_id") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n"))
