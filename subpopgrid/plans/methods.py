@@ -10,7 +10,7 @@ from ..operators import baselines as B
 from ..operators import bounded, countsketch, fanout, grid, merge, store
 from ..operators import universal as U
 from ..schema import TIGHT, TINY, GridConfig
-from ..sources.tables import load, spec_of, view, view_sql
+from ..sources.tables import load, scratch, spec_of, view, view_sql
 from . import config as C
 from . import oracle as O
 from .registry import query
@@ -396,15 +396,6 @@ def _store(spark, sf_dir):
     return grid.estimate(store.compact(spark, path, state.spec, TIGHT, frozen=True))
 
 
-def scratch(spark, name: str) -> str:
-    """A new folder below the session's shared one (a temporary one where none is set)."""
-    import tempfile
-    import uuid
-
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    return f"{root or 'file://' + tempfile.mkdtemp(prefix='subpopgrid-')}/{name}-{uuid.uuid4().hex}"
-
-
 # --- configuration ---
 
 

@@ -8,9 +8,8 @@ from pyspark.sql import functions as F
 from ..functions import udfs
 from ..operators import baselines as B
 from ..operators import fanout
-from ..sources.tables import load, round_trip, spec_of, view, view_sql
+from ..sources.tables import load, round_trip, scratch, spec_of, view, view_sql
 from . import oracle as O
-from .methods import scratch
 from .registry import query
 
 _PAIRS = O.pairs_ctes(view_sql("docs"), spec_of("docs", max_order=2)) + ", " + O.TRUTH

@@ -9,10 +9,9 @@ from pyspark.sql import functions as F
 from ..operators import grid
 from ..operators import universal as U
 from ..schema import TINY, WorkloadSpec
-from ..sources.tables import load
+from ..sources.tables import load, scratch
 from ..streaming import windows as SW
 from . import oracle as O
-from .methods import scratch
 from .registry import query
 
 _SPEC = WorkloadSpec(dims=("event_type",))

@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -134,3 +139,13 @@ def round_trip(df: DataFrame, path: str, kind: str) -> DataFrame:
     options = {"header": "true"} if kind == "csv" else {}
     df.write.mode("overwrite").options(**options).format(kind).save(path)
     return df.sparkSession.read.schema(df.schema).options(**options).format(kind).load(path)
+
+
+def scratch(spark: SparkSession, name: str) -> str:
+    """A new folder below the session's shared one; where none is set (tests), below a temporary one that goes at exit."""
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not root:
+        own = tempfile.mkdtemp(prefix="subpopgrid-")
+        atexit.register(shutil.rmtree, own, ignore_errors=True)
+        root = f"file://{own}"
+    return f"{root}/{name}-{uuid.uuid4().hex}"
