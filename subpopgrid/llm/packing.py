@@ -39,19 +39,20 @@ def pieces(docs: DataFrame, capacity: int, vocabulary: str = "byte_bpe_50k.json"
     def cut(batches):
         import pyarrow as pa
 
-        enc, end = encoder(vocabulary, spaced), np.array([end_id], "<u4").tobytes()
+        enc = encoder(vocabulary, spaced)
         for b in batches:
-            out = ([], [], [], [], [], [])
-            for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text"), strict=True):
-                ids = memoryview(enc(text.as_py()) + end)
-                n = len(ids) // 4
-                at = 0
-                for k in range(-(-n // capacity)):
-                    size = ((n - 1) % capacity + 1) if k == 0 else capacity
-                    part = ids[4 * at : 4 * (at + size)]
-                    for column, v in zip(out, (doc, k, at, size, zlib.crc32(part), bytes(part) if with_ids else None), strict=True):
-                        column.append(v)
-                    at += size
+            out: tuple[list, ...] = ([], [], [], [], [], [])
+            docs_ = b.column("doc_id").to_pylist()
+            for lo, hi, flat, counts in enc.slices(b.column("text"), end_id):
+                data, ends = memoryview(np.ascontiguousarray(flat)).cast("B"), np.cumsum(counts)
+                for doc, n, end in zip(docs_[lo:hi], counts.tolist(), ends.tolist(), strict=True):
+                    ids, at = data[4 * (end - n) : 4 * end], 0
+                    for k in range(-(-n // capacity)):
+                        size = ((n - 1) % capacity + 1) if k == 0 else capacity
+                        part = ids[4 * at : 4 * (at + size)]
+                        for column, v in zip(out, (doc, k, at, size, zlib.crc32(part), bytes(part) if with_ids else None), strict=True):
+                            column.append(v)
+                        at += size
             kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
             names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds, strict=True)][: 5 + with_ids], names=names[: 5 + with_ids])

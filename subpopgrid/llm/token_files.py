@@ -31,16 +31,13 @@ def write_tokens(docs: DataFrame, path: str, vocabulary: str = "word_bpe_49k.jso
         import pyarrow as pa
         from pyspark import TaskContext
 
-        enc, part, start, end = encoder(vocabulary, spaced), TaskContext.get().partitionId(), 0, np.array([end_id], "<u4").tobytes()
-        for whole in batches:
-            for at in range(0, whole.num_rows, 500):
-                b = whole.slice(at, 500)
-                rows = [enc(t.as_py()) + end for t in b.column("text")]
-                n = np.fromiter((len(r) // 4 for r in rows), np.int64, len(rows))
+        enc, part, start = encoder(vocabulary, spaced), TaskContext.get().partitionId(), 0
+        for b in batches:
+            for lo, hi, flat, n in enc.slices(b.column("text"), end_id):
                 before = start + np.cumsum(n) - n
-                start += int(n.sum())
-                ids = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(n)], pa.int32()), pa.array(np.frombuffer(b"".join(rows), "<i4")))
-                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(np.full(len(n), part, np.int32)), pa.array(before), pa.array(n), ids], names=["doc_id", "part", "start_in_part", "n_tokens", "ids"])
+                start += len(flat)
+                ids = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(n)], pa.int32()), pa.array(flat.view("<i4")))
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(lo, hi - lo), pa.array(np.full(hi - lo, part, np.int32)), pa.array(before), pa.array(n), ids], names=["doc_id", "part", "start_in_part", "n_tokens", "ids"])
 
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     rows = texts.repartitionByRange("doc_id").sortWithinPartitions("doc_id").mapInArrow(encode, SCHEMA)

@@ -4,11 +4,15 @@ from __future__ import annotations
 
 from array import array
 
+import numpy as np
+
 from .common import hold, take_over
 
 _OPEN: dict = {}
 #: Entries of a worker's word cache before it becomes the older generation, and the longest word that is kept.
-CACHE_WORDS, CACHE_CHARS = 400_000, 48
+CACHE_WORDS, CACHE_CHARS = 500_000, 48
+#: Text that is encoded at once.
+SLICE_BYTES = 6 << 20
 
 
 def vocabulary(name: str) -> str:
@@ -92,6 +96,67 @@ class Encoder:
         return b"".join(map(self.first.__getitem__, text.replace("\n", " ").split(" ")))
 
 
+    def slices(self, texts, end_id: int):
+        """(first row, behind the last, ids, counts) of successive rows of an Arrow string column, end ids included.
+
+        The words of a slice are made distinct first, so a word costs a look-up once a slice; the ids of all words are
+        then gathered as arrays. Slices hold about ``SLICE_BYTES`` of text (one longer text is a slice).
+        """
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        sizes = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        ends, lo = np.cumsum(sizes), 0
+        while lo < len(texts):
+            hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + SLICE_BYTES, side="right")))
+            part = pc.fill_null(texts.slice(lo, hi - lo), "")
+            lists = pc.split_pattern(part if self.spaced else pc.replace_substring(part, "\n", " "), " ")
+            offsets = lists.offsets.to_numpy().astype(np.int64)
+            offsets -= offsets[0]
+            words = lists.flatten().dictionary_encode()
+            at = words.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+            # a run of letters and one mark behind it are split before the merges: look up the letters alone
+            marked = pc.match_substring_regex(words.dictionary, r"^[A-Za-zÀ-ÖØ-öø-ÿ]+[.,]$")
+            bare = pc.if_else(marked, pc.utf8_slice_codeunits(words.dictionary, 0, -1), words.dictionary).dictionary_encode()
+            found = list(map(self.rest.__getitem__, bare.dictionary.to_pylist()))
+            n_bare, flags = len(found), marked.to_numpy(zero_copy_only=False)
+            found += [self.whole("."), self.whole(",")]
+            second = np.where(flags, n_bare + pc.ends_with(words.dictionary, ",").to_numpy(zero_copy_only=False), -1)[at]
+            first = bare.indices.to_numpy(zero_copy_only=False).astype(np.int64)[at]
+            whole = []
+            if self.spaced:
+                bad = np.fromiter((x is None for x in found), bool, len(found))
+                heads = [self.first[w] for w in words.dictionary.take(pa.array(at[offsets[:-1]])).to_pylist()]
+                odd = np.fromiter((x is None for x in heads), bool, len(heads))
+                if bad.any():
+                    inner = bad[first]
+                    inner[offsets[:-1]] = False
+                    odd |= np.add.reduceat(inner, offsets[:-1]) > 0
+                odd[sizes[lo:hi] == 0] = False
+                first[offsets[:-1]] = len(found) + np.arange(len(heads))  # a text's first word has no space before it
+                second[offsets[:-1]] = -1
+                whole = np.flatnonzero(odd).tolist()
+                found = [x or b"" for x in [*found, *heads]]
+            more = second >= 0
+            place = np.arange(len(first)) + np.cumsum(more) - more
+            line = np.empty(len(first) + int(more.sum()), np.int64)
+            line[place], line[place[more] + 1] = first, second[more]
+            lengths = np.fromiter(map(len, found), np.int64, len(found)) // 4
+            starts, ids = np.cumsum(lengths) - lengths, np.frombuffer(b"".join(found), "<u4")
+            each = lengths[line]
+            behind = np.cumsum(each)
+            flat = ids[np.repeat(starts[line] - (behind - each), each) + np.arange(int(behind[-1]))]
+            counts = np.add.reduceat(each, place[offsets[:-1]])
+            if whole:  # texts whose words do not fix their ids go to the library
+                rows = np.split(flat, np.cumsum(counts)[:-1])
+                for k in whole:
+                    rows[k] = np.frombuffer(self.whole(part[k].as_py()), "<u4")
+                    counts[k] = len(rows[k])
+                flat = np.concatenate(rows)
+            yield lo, hi, np.insert(flat, np.cumsum(counts), np.uint32(end_id)), counts + 1
+            lo = hi
+
+
 def encoder(name: str, spaced: bool) -> Encoder:
     """One encoder a worker process and vocabulary; ``name`` is a file of the public set or a path."""
     take_over("tokens")

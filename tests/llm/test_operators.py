@@ -8,6 +8,7 @@ import zlib
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -54,6 +55,16 @@ def test_cached_encoding_is_the_librarys(text):
         assert e(text) == (e.whole(text) if text else b"")
 
 
+@settings(max_examples=80, deadline=None)
+@given(st.lists(st.one_of(st.none(), st.text(alphabet=st.sampled_from(list("ab Zé.,'!\n\t0ñß —漢")), max_size=40)), max_size=12))
+def test_sliced_encoding_is_the_librarys(texts):
+    for name, spaced in (("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)):
+        got = {}
+        for lo, hi, flat, counts in tokens.encoder(name, spaced).slices(pa.array(texts, pa.string()), 2):
+            got |= dict(zip(range(lo, hi), np.split(flat, np.cumsum(counts)[:-1]), strict=True))
+        assert [got[i].tolist() for i in range(len(texts))] == [ids_of(name, t).tolist() for t in texts]
+
+
 def ids_of(name, text):
     t = Tokenizer.from_file(public_tokenizers.path(name))
     return np.array([*(t.encode(text, add_special_tokens=False).ids if text else []), 2], "<u4")
