@@ -20,7 +20,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 BLOCK = 256
-HEAD, END = "<|{}|>\n", "<|end|>\n"
+END = "<|end|>\n"
 
 
 def gather(turns: DataFrame) -> DataFrame:
