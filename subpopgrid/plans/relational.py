@@ -23,6 +23,10 @@ def _truth(spark, sf_dir):
     return B.ground_truth(view(spark, sf_dir, "docs"), spec_of("docs", max_order=2))
 
 
+#: Seconds of a time without zone, whatever the session's zone.
+_SECONDS = "timestampdiff(SECOND, TIMESTAMP_NTZ '1970-01-01 00:00:00', ts)"
+
+
 # --- scans and sinks ---
 
 
@@ -135,7 +139,7 @@ def _cross(spark, sf_dir):
 )
 def _as_of(spark, sf_dir):
     """The latest hour with any event, before the event's own and within a day: windows are probed by equal keys."""
-    e = load(spark, sf_dir, "events").withColumn("h", F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / 3600))
+    e = load(spark, sf_dir, "events").withColumn("h", F.floor(F.expr(_SECONDS) / 3600))
     hours = e.select(F.col("h").alias("s")).distinct()
     asked = e.where("event_type = 'purchase'").select("event_id", F.explode(F.sequence(F.col("h") - 24, F.col("h") - 1)).alias("s"))
     return asked.join(hours, "s").groupBy("event_id").agg(F.max("s").alias("state"))
@@ -223,7 +227,7 @@ def _running(spark, sf_dir):
     "@@ SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS recent FROM events",
 )
 def _frame(spark, sf_dir):
-    e = load(spark, sf_dir, "events").withColumn("t", F.unix_timestamp(F.col("ts").cast("timestamp")))
+    e = load(spark, sf_dir, "events").withColumn("t", F.expr(_SECONDS))
     return e.select("event_id", F.count(F.lit(1)).over(W.partitionBy("user_id").orderBy("t").rangeBetween(-3600, 0)).alias("recent"))
 
 
