@@ -301,9 +301,9 @@ def _json(spark, sf_dir):
     return load(spark, sf_dir, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"), F.to_json(F.from_json("props", "k long")).alias("again"))
 
 
-@query("op_pivot", "source:s de:l en:l es:l fr:l", "@@ SELECT source, " + ", ".join(f"nullif(count(*) FILTER (WHERE lang = '{x}'), 0) AS {x}" for x in ("de", "en", "es", "fr")) + " FROM documents GROUP BY source")
+@query("op_pivot", "source:s de:l en:l es:l fr:l", "@@ SELECT source, " + ", ".join(f"count(*) FILTER (WHERE lang = '{x}') AS {x}" for x in ("de", "en", "es", "fr")) + " FROM documents GROUP BY source")
 def _pivot(spark, sf_dir):
-    return load(spark, sf_dir, "documents").groupBy("source").pivot("lang", ["de", "en", "es", "fr"]).count()
+    return load(spark, sf_dir, "documents").groupBy("source").pivot("lang", ["de", "en", "es", "fr"]).count().fillna(0)
 
 
 @query("op_unpivot", "subpop_key:s stat:s value:d", _PAIRS + "@@ " + " UNION ALL ".join(f"SELECT subpop_key, '{s}' AS stat, CAST({s} AS DOUBLE) AS value FROM truth" for s in ("l1", "l2", "card")))
