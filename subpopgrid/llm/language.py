@@ -1,8 +1,9 @@
 """Language identification by Bayesian fusion of text, declared language, address suffix and host prior.
 
-* Text: byte trigrams hashed to ``BUCKETS`` classes, multinomial likelihoods learnt from a bounded sample of
-  labelled rows (about ``SAMPLE_DOCS``, chosen by a hash of the id; the bound is a parameter). Trigrams overlap, so
-  the log likelihood is tempered: a text counts as at most ``TEXT_TRIALS`` independent draws.
+* Text: byte trigrams hashed to ``BUCKETS`` classes, multinomial likelihoods learnt from a sample of labelled rows
+  that is bounded for each label: all rows of a label up to ``SAMPLE_DOCS``, of a more frequent one a share chosen by
+  a hash of id and text, at least one row. So every label is a language of the model, however large the table.
+  Trigrams overlap, so the log likelihood is tempered: a text counts as at most ``TEXT_TRIALS`` independent draws.
 * Declared markup language and the language an address suffix hints at: each a noisy witness with a known hit rate.
 * Host prior: sums of text posteriors a host by grouped aggregation, smoothed towards its domain's, which is
   smoothed towards that of the whole table.
@@ -36,10 +37,15 @@ def _trigrams(text: str) -> np.ndarray:
 
 
 def fit(docs: DataFrame, label: Column, id_col: str = "doc_id", text_col: str = "text", sample_docs: int = SAMPLE_DOCS) -> dict:
-    """Languages, log likelihoods a bucket, and the floor on the mean log likelihood. Gathers BUCKETS rows a language."""
-    every = max(1, docs.count() // sample_docs)
-    sample = docs.select(label.alias("label"), F.col(text_col).alias("text"), F.col(id_col).alias("id")).where("label IS NOT NULL AND text IS NOT NULL")
-    sample = sample.where(F.pmod(F.xxhash64("id"), F.lit(every)) == 0)
+    """Languages, log likelihoods a bucket, and the floor on the mean log likelihood. Gathers BUCKETS rows a language.
+
+    ``sample_docs`` bounds the sample of each label: one with fewer than twice as many rows is read whole.
+    """
+    labelled = docs.select(label.alias("label"), F.col(text_col).alias("text"), F.xxhash64(id_col, text_col).alias("mark")).where("label IS NOT NULL AND text IS NOT NULL")
+    counts = labelled.groupBy("label").agg(F.count(F.lit(1)).alias("n"), F.min("mark").alias("least")).collect()
+    shares = docs.sparkSession.createDataFrame([(r["label"], max(1, r["n"] // sample_docs), r["least"]) for r in counts], "label string, every long, least long")
+    # equal rows are in or out together: the least mark is always in, so no label is left without a row
+    sample = labelled.join(F.broadcast(shares), "label").where((F.pmod("mark", "every") == 0) | (F.col("mark") == F.col("least")))
 
     def count(batches):
         import pyarrow as pa

@@ -373,6 +373,16 @@ def test_language_evidence_and_cases(spark):
     assert all(r["m"] in ("en", "fr", "de", "es") for r in said) and all(r["a"] == r["m"] for r in said)
 
 
+def test_rare_languages_are_learnt(spark):
+    rare = "zażółć gęślą jaźń oraz pchnąć w tę łódź jeża lub ośm skrzyń fig " * 3
+    rows = [(i, prose(40, i), "en") for i in range(400)] + [(1000 + i, None, None) for i in range(400)] + [(2000 + i, rare, "pl") for i in range(3)] + [(None, "1234 5678 9012 " * 20, "xx")] * 50
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language.fit(df, F.col("lang"), sample_docs=10)
+    assert model["langs"] == ["en", "pl", "xx"]
+    held_out = spark.createDataFrame([(1, rare + "jeszcze raz")], "doc_id long, text string")
+    assert language.identify(held_out, model, declared=F.lit("pl")).first()["lang_pred"] == "pl"
+
+
 # --- HTML ---
 
 PAGE = """<!DOCTYPE html><html lang=en><head><title>T</title><style>p{}</style></head><body class="menu-open"><div class="cookie-notice">We use cookies</div><header><h1>Site</h1></header>
