@@ -3,10 +3,10 @@
 Both continuations are rendered behind it as completions with a mask of character spans: only what an assistant
 says (with its end mark) is to be learnt. All in DataFrame expressions.
 
-Pairs: conversations of one block of ``BLOCK`` consecutive ids that open with the same turn are paired in order of
-id; where the opening is nobody else's, the rest of the block is paired in the same manner. So a group never exceeds
-``BLOCK`` conversations, however common an opening is, and every conversation is in one pair (the last one of a block
-may stay alone: its rejected side is null). The conversation with more assistant text is the chosen one, ties by id.
+Pairs: conversations that open with the same turn are paired in order of id, over the whole table; the odd one out of
+each opening is paired in the same manner with the other ones left over. So every conversation is in one pair (one of
+the table may stay alone: its rejected side is null). Ranks come from a range sort with totals a task, so an opening that
+many conversations share spreads over tasks. The conversation with more assistant text is the chosen one, ties by id.
 
 Defined cases: null or empty turn texts render as empty; a null role is ``user``; repeated turns are kept, ordered by
 (turn, role, text); equal conversations have an empty completion on both sides; an empty table gives an empty table;
@@ -19,6 +19,9 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .common import staged
+
+#: Ids a block in ``op8_sql``, which pairs within blocks only: it says the same where all ids are in one block.
 BLOCK = 256
 END = "<|end|>\n"
 
@@ -29,18 +32,29 @@ def gather(turns: DataFrame) -> DataFrame:
     return turns.where("conv_id IS NOT NULL").groupBy("conv_id").agg(F.sort_array(F.collect_list(said)).alias("_t")).select("conv_id", F.transform("_t", lambda t: F.struct(t["role"], t["text"])).alias("turns"))
 
 
+def ranked(keys: DataFrame) -> DataFrame:
+    """Add ``k``, the rank by id in the opening, and ``n``, the opening's conversations, to (conv_id, opening).
+
+    Row numbers of a stored range sort, less the first of a task's run of the opening, plus the runs of the tasks before.
+    """
+    order = ("opening", "conv_id")
+    placed = staged(keys.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("at", F.monotonically_increasing_id()), "openings").withColumn("part", F.shiftright("at", 33))
+    line = W.partitionBy("opening")
+    runs = placed.groupBy("part", "opening").agg(F.count(F.lit(1)).alias("own"), F.min("at").alias("first"))  # of an opening: one a task
+    bases = runs.withColumn("n", F.sum("own").over(line)).withColumn("base", F.sum("own").over(line.orderBy("part")) - F.col("own"))
+    return placed.join(bases, ["part", "opening"]).select("conv_id", "opening", (F.col("at") - F.col("first") + F.col("base")).alias("k"), "n")
+
+
 def pair_up(convs: DataFrame) -> DataFrame:
     """chosen_id, rejected_id and both arrays of turns (``chosen``, ``rejected``), by the rule above."""
     weight = F.aggregate(F.filter("turns", lambda t: t["role"] == "assistant"), F.lit(0), lambda a, t: a + F.length(t["text"]))
-    marked = convs.withColumn("block", F.floor(F.col("conv_id") / BLOCK)).withColumn("opening", F.xxhash64(F.col("turns")[0]["text"])).withColumn("weight", weight)
-    same = W.partitionBy("block", "opening")
-    shared = marked.withColumn("n", F.count(F.lit(1)).over(same)).withColumn("k", F.row_number().over(same.orderBy("conv_id")))
-    # an odd conversation out joins the block's remaining ones (group 0)
-    grouped = shared.withColumn("grp", F.when((F.col("k") == F.col("n")) & (F.col("n") % 2 == 1), F.lit(None)).otherwise(F.col("opening")))
-    line = W.partitionBy("block", "grp").orderBy("conv_id")
-    pairs = grouped.withColumn("pair", F.floor((F.row_number().over(line) - 1) / 2))
-    side = F.struct((-F.col("weight")).alias("w"), "conv_id", "turns")
-    both = pairs.groupBy("block", "grp", "pair").agg(F.min(side).alias("a"), F.max(side).alias("b"), F.count(F.lit(1)).alias("n"))
+    own = staged(ranked(staged(convs.select("conv_id", F.xxhash64(F.col("turns")[0]["text"]).alias("opening")), "conversations")), "ranks")
+    odd = (F.col("k") == F.col("n") - 1) & (F.col("n") % 2 == 1)
+    pair = F.expr("k div 2").alias("pair")
+    left_over = ranked(own.where(odd).select("conv_id", F.lit(0).cast("long").alias("opening"))).select("conv_id", F.lit(True).alias("left_over"), "opening", pair)
+    pairs = own.where(~odd).select("conv_id", F.lit(False).alias("left_over"), "opening", pair).unionByName(left_over)
+    side = F.struct((-weight).alias("w"), "conv_id", "turns")
+    both = convs.join(pairs, "conv_id").groupBy("left_over", "opening", "pair").agg(F.min(side).alias("a"), F.max(side).alias("b"), F.count(F.lit(1)).alias("n"))
     two = F.col("n") == 2
     return both.select(F.col("a.conv_id").alias("chosen_id"), F.when(two, F.col("b.conv_id")).alias("rejected_id"), F.col("a.turns").alias("chosen"), F.when(two, F.col("b.turns")).alias("rejected"))
 

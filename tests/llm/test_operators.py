@@ -346,6 +346,17 @@ def test_preference_pairs(spark):
     assert chat.format_pairs(chat.pair_up(chat.gather(twin))).first()["chosen_completion"] == ""
 
 
+def test_pairs_over_far_ids(spark):
+    openings = {255: "q", 256: "q", 10: "hot", 5000: "hot", 90000: "hot", 7: "lone", 70000: "other"} | {100_000 + 300 * i: "many" for i in range(61)}
+    rows = [(c, k, r, t) for c, o in openings.items() for k, r, t in ((0, "user", o), (1, "assistant", f"answer {c}"))]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(7)
+    got = chat.format_pairs(chat.pair_up(chat.gather(df))).collect()
+    pairs = {frozenset((r["chosen_id"], r["rejected_id"])): r["n_prompt"] for r in got}
+    many = [c for c in sorted(openings) if openings[c] == "many"]
+    expected = {frozenset(p): 1 for p in [(255, 256), (10, 5000), *zip(many[:-1:2], many[1::2], strict=True)]}
+    assert pairs == expected | {frozenset((7, 70000)): 0, frozenset((90000, many[-1])): 0}
+
+
 # --- language ---
 
 
