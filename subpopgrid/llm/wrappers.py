@@ -5,9 +5,10 @@ one host are aligned one after another: a text mismatch becomes a slot, a block
 like neighbours are folded into a repeated group. The result, the host's wrapper, is an expression of
 tags, slots, ``?`` and ``+`` without alternatives that matches every page of the host.
 
-A wrapper's slots are labelled once: main text is what lies in the article or main element (where a wrapper has none,
-varying slots anywhere) and below no menu, header, footer, sidebar, notice, advert, form or comment block. A
-page's text is what its stream puts in the wrapper's main slots.
+Main text is what lies in the page's article or main element and below no menu, header, footer, sidebar, notice, advert,
+form or comment block. A page without such an element has its slots anywhere but in those blocks, less boilerplate:
+slots that the wrapper saw constant over distinct pages (of several streams, or of one in which another slot varies). If
+all of them are, as for copies of one page, they are its text.
 
 Distribution: a task keeps one entry for each (host, stream) and says which slots vary; entries merge a (host,
 stream), then streams of a host fold to its wrapper: a host with a third of all pages costs as much as its
@@ -146,17 +147,20 @@ def read(html: str | None, labels: dict[tuple[str, str], str]) -> tuple[str, lis
     return " ".join(stream), texts
 
 
-# --- expressions: a node is [label, mark, children], a text slot ["#", mark, constant or None] ---
+# --- expressions: a node is [label, mark, children], a text slot ["#", mark, constant or None, distinct pages] ---
 
+#: A slot names at most so many distinct pages that have it: as many make a constant boilerplate.
+SEVERAL = 2
 
-def tree_of(stream: str, constants: list[str | None]) -> list:
+
+def tree_of(stream: str, constants: list[str | None], pages: tuple[int, ...] = ()) -> list:
     root: list = ["", "", []]
     stack, k = [root], 0
     for token in stream.split():
         if token == "/":
             stack.pop()
         elif token == "#":
-            stack[-1][2].append(["#", "", constants[k]])
+            stack[-1][2].append(["#", "", constants[k], list(pages)])
             k += 1
         else:
             stack[-1][2].append([token, "", []])
@@ -192,9 +196,9 @@ def _common(a: list, b: list) -> list[tuple[int, int]]:
 def unify(a: list, b: list) -> list:
     """The least expression that covers both; labels agree."""
     if a[0] == "#":
-        return ["#", _mark(a[1], b[1]), a[2] if a[2] == b[2] else None]
+        return ["#", _mark(a[1], b[1]), a[2] if a[2] == b[2] else None, sorted({*a[3], *b[3]})[:SEVERAL]]
     children, i, j = [], 0, 0
-    optional = lambda x: [x[0], _mark(x[1], "?"), x[2]]
+    optional = lambda x: [x[0], _mark(x[1], "?"), *x[2:]]
     for p, q in [*_common(a[2], b[2]), (len(a[2]), len(b[2]))]:
         children += [*map(optional, a[2][i:p]), *map(optional, b[2][j:q])]
         if p < len(a[2]):
@@ -220,8 +224,8 @@ def fold(x: list) -> list:
 def infer(pages: list[tuple[str, list[str | None]]]) -> list:
     """The wrapper of streams with their constant texts (None: varies)."""
     whole = None
-    for stream, constants in pages:
-        own = fold(tree_of(stream, constants))
+    for k, (stream, constants) in enumerate(pages):
+        own = fold(tree_of(stream, constants, (2 * k, 2 * k + 1) if None in constants else (2 * k,)))
         whole = own if whole is None else fold(unify(whole, own))
     return whole
 
@@ -239,14 +243,15 @@ def _has_main(x: list) -> bool:
     return x[0] != "#" and (x[0].startswith("@") or any(not c[0].startswith("!") and _has_main(c) for c in x[2]))
 
 
-def main_slots(wrapper: list, stream: str, n_pages: int) -> list[bool]:
-    """For each text of a page's stream: does it fall into a main slot of the wrapper?"""
-    inside, out = _has_main(wrapper), []
+def main_slots(wrapper: list, stream: str) -> list[bool]:
+    """For each text of a page's stream: does it fall into a main slot?"""
+    page = tree_of(stream, [None] * stream.split().count("#"))
+    inside, out, varying = _has_main(page), [], []
 
     def walk(node: list, slot: list | None, main: bool, off: bool) -> None:
         if node[0] == "#":
-            varies = slot is None or slot[2] is None or n_pages < 3
-            out.append(not off and (main or not inside and varies))
+            out.append(not off and (main or not inside))
+            varying.append(slot is None or slot[2] is None or len(slot[3]) < SEVERAL)
             return
         main, off = main or node[0].startswith("@"), off or node[0].startswith("!")
         children, slots = node[2], slot[2] if slot else []
@@ -261,8 +266,9 @@ def main_slots(wrapper: list, stream: str, n_pages: int) -> list[bool]:
             for c in members:
                 walk(c, slots[at[k]] if k in at else None, main, off)
 
-    walk(tree_of(stream, [None] * stream.split().count("#")), wrapper, False, False)
-    return out
+    walk(page, wrapper, False, False)
+    own = [o and v for o, v in zip(out, varying, strict=True)]
+    return own if not inside and any(own) else out
 
 
 def host_of(url) -> str:
@@ -329,10 +335,10 @@ def extract(pages: DataFrame, limit: int = BROADCAST_LIMIT) -> DataFrame:
     table = None
     rows = pages.select("page_id", "url", "html")
     if size <= limit:
-        table = pages.sparkSession.sparkContext.broadcast({r["host"]: (r["wrapper"], r["n_pages"]) for r in learnt.toLocalIterator()})
+        table = pages.sparkSession.sparkContext.broadcast({r["host"]: r["wrapper"] for r in learnt.toLocalIterator()})
     else:
         shape = r"(?s)^.*?://([^/?#]*)"
-        rows = rows.withColumn("host", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), shape, 1))).join(learnt, "host", "left").select("page_id", "url", "html", "wrapper", "n_pages")
+        rows = rows.withColumn("host", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), shape, 1))).join(learnt, "host", "left").select("page_id", "url", "html", "wrapper")
     names = rows.columns
 
     def pull(batches):
@@ -343,15 +349,15 @@ def extract(pages: DataFrame, limit: int = BROADCAST_LIMIT) -> DataFrame:
         held: dict = {}
         for b in batches:
             texts = []
-            given = zip(b.column("wrapper").to_pylist(), b.column("n_pages").to_pylist(), strict=True) if "wrapper" in names else None
+            given = iter(b.column("wrapper").to_pylist()) if "wrapper" in names else None
             for url, html in zip(b.column("url").to_pylist(), b.column("html"), strict=True):
                 stream, parts = read(html.as_py(), labels)
                 host = host_of(url)
                 packed = next(given) if given else table.value.get(host)
                 if (main := slots.get((host, stream))) is None:
                     if host not in held:
-                        held[host] = json.loads(packed[0])
-                    main = slots[host, stream] = main_slots(held[host], stream, packed[1])
+                        held[host] = json.loads(packed)
+                    main = slots[host, stream] = main_slots(held[host], stream)
                     if len(slots) > 50_000:
                         slots.clear()
                         held.clear()

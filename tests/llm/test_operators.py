@@ -418,6 +418,20 @@ def test_wrappers_extract_main_text(spark):
     assert wrappers.extract(df.limit(0)).count() == 0
 
 
+def test_pages_without_main_element(spark):
+    bare = "<h1>Only here</h1><p>some text</p>"
+    rows = [(0, "http://a.x/1", page("ab")), (1, "http://a.x/2", page("abc")), (2, "http://a.x/3", "<div class=ad>Buy</div>" + bare)]
+    rows += [(10 + i, "http://copies.x/", bare) for i in range(4)]
+    rows += [(20 + i, "http://c.x/", f"<div>Motto</div><p>text {i}</p>" + ("<blockquote>Quote</blockquote>" if i == 3 else "")) for i in range(5)]
+    rows += [(30, None, page("a")), (31, "odd", "<p>plain</p>"), (32, None, "<ul><li>x</li></ul>"), (33, "", "words")]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    by = {r["page_id"]: r["text"] for r in wrappers.extract(df).collect()}
+    assert by[2] == "Only here\nsome text" and by[0].startswith("Head & line\n") and "Side" not in by[0]
+    assert all(by[10 + i] == "Only here\nsome text" for i in range(4))
+    assert all(by[20 + i] == f"text {i}" + "\nQuote" * (i == 3) for i in range(5))
+    assert (by[31], by[32], by[33]) == ("plain", "x", "words")
+
+
 def test_wrapper_is_union_free(spark):
     a, b = (wrappers.read(page(x, m), {}) for x, m in (("ab", ""), ("abc", "<p>Three</p>")))
     w = wrappers.expression(wrappers.infer([(a[0], list(a[1])), (b[0], list(b[1]))]))
