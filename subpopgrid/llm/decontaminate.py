@@ -1,11 +1,10 @@
-"""Benchmark decontamination: rare n-gram seeds join documents to test items, Smith-Waterman alignment scores them.
+"""Benchmark decontamination: n-gram seeds join documents to test items, Smith-Waterman alignment scores them.
 
 1. Seeds are the word n-grams of the items (an item with fewer words is one seed). One pass over the whole texts
    finds the seeds' places, and cuts for every item a window around each run of them, an item's length wide on
    both sides.
-2. A seed alone in a window is background; a seed that is background in more than ``RARE_SHARE`` of the documents
-   (``RARE_LEAST`` at least) is not rare, and windows that have only such a seed go (unless the item is so short that
-   a seed is half of it). A copied passage brings many seeds at once, so its copies never make its seeds common.
+2. A window stays if it has enough of the item's words, as a multiset, to reach the score: an exact bound, which takes the
+   place of any rule on how common a seed is. So background goes unaligned, and no number of copies hides a copy.
 3. Windows are aligned with their item, word by word. The score is the alignment's part of the item's own score; half
    of it is a match, and so is an alignment worth ``MIN_WORDS`` equal words, a passage of a long item.
 
@@ -19,7 +18,6 @@ columns are ignored; very long texts are read whole.
 from __future__ import annotations
 
 import re
-import zlib
 from collections import Counter, defaultdict
 from functools import reduce
 
@@ -29,12 +27,12 @@ from pyspark.sql import functions as F
 
 from .common import BROADCAST_LIMIT, staged, take_over
 
-SEED_WORDS, RARE_SHARE, RARE_LEAST = 3, 0.001, 20
+SEED_WORDS = 3
 MATCH, MISMATCH, GAP = 2, -1, -1
 #: A match is an alignment worth this part of the item's own score, or so many words in a row wherever the item is long.
 MIN_SCORE, MIN_WORDS = 0.5, 13
 WORD = re.compile(r"\w+")
-WINDOWS = "doc_id long, item_id long, at long, window string, seeds array<long>"
+WINDOWS = "doc_id long, item_id long, at long, window string"
 
 
 def words_of(text: str | None) -> list[str]:
@@ -65,6 +63,18 @@ def matches(best: int, item_words: int, min_score: float = MIN_SCORE) -> bool:
     return best >= MATCH * min(min_score * item_words, MIN_WORDS)
 
 
+def can_match(need: Counter, item_words: int, window: list[str], min_score: float = MIN_SCORE) -> bool:
+    """False if the words that item and window share are too few for any alignment to match: each match needs one."""
+    least, shared, held = min(min_score * item_words, MIN_WORDS), 0, {}
+    for w in window:
+        if (n := need.get(w)) and (k := held.get(w, 0)) < n:
+            held[w] = k + 1
+            shared += 1
+            if shared >= least:
+                return True
+    return shared >= least
+
+
 def seed_table(items: list[tuple[int, str]]) -> dict[int, dict[tuple, list[tuple[int, int]]]]:
     """Seed length -> seed -> (item, item's words)."""
     out: dict = {}
@@ -78,17 +88,17 @@ def seed_table(items: list[tuple[int, str]]) -> dict[int, dict[tuple, list[tuple
     return out
 
 
-def windows(docs: DataFrame, items: list[tuple[int, str]], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """A row for each run of seeds of an item in a document: the words around it and the crc32 of its distinct seeds."""
-    held = docs.sparkSession.sparkContext.broadcast({n: dict(t) for n, t in seed_table(items).items()})
+def windows(docs: DataFrame, items: list[tuple[int, str]], id_col: str = "doc_id", text_col: str = "text", min_score: float = MIN_SCORE) -> DataFrame:
+    """A row for each run of seeds of an item in a document, if the words around it can match the item: these words."""
+    held = docs.sparkSession.sparkContext.broadcast(({n: dict(t) for n, t in seed_table(items).items()}, {i: Counter(words_of(t)) for i, t in items}))
 
     def find(batches):
         import pyarrow as pa
 
         take_over("seeds")
-        seeds = held.value
+        seeds, needs = held.value
         for b in batches:
-            out: tuple[list, ...] = ([], [], [], [], [])
+            out: tuple[list, ...] = ([], [], [], [])
             for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text"), strict=True):
                 words = words_of(text.as_py())
                 places = defaultdict(list)
@@ -97,33 +107,24 @@ def windows(docs: DataFrame, items: list[tuple[int, str]], id_col: str = "doc_id
                     if found:
                         for i in range(len(words) - n + 1):
                             if (g := tuple(words[i : i + n])) in found:
-                                mark = zlib.crc32(" ".join(g).encode())
                                 for item in table[g]:
-                                    places[item].append((i, mark))
+                                    places[item].append(i)
                 for (item, size), hits in places.items():
                     start = 0
                     for k in range(1, len(hits) + 1):
-                        if k == len(hits) or hits[k][0] - hits[k - 1][0] > 2 * size:
-                            lo = max(0, hits[start][0] - size)
-                            for column, v in zip(out, (doc, item, lo, " ".join(words[lo : hits[k - 1][0] + size + SEED_WORDS]), sorted({m for _, m in hits[start:k]})), strict=True):
-                                column.append(v)
+                        if k == len(hits) or hits[k] - hits[k - 1] > 2 * size:
+                            lo = max(0, hits[start] - size)
+                            window = words[lo : hits[k - 1] + size + SEED_WORDS]
+                            if can_match(needs[item], size, window, min_score):
+                                for column, v in zip(out, (doc, item, lo, " ".join(window)), strict=True):
+                                    column.append(v)
                             start = k
-            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds, strict=True)], names=["doc_id", "item_id", "at", "window", "seeds"])
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds, strict=True)], names=["doc_id", "item_id", "at", "window"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).where("text IS NOT NULL").mapInArrow(find, WINDOWS)
 
 
-def rare_windows(found: DataFrame, n_docs: int, sizes: DataFrame) -> DataFrame:
-    """Windows without those whose only seed is common background."""
-    alone = found.where("size(seeds) = 1")
-    common = alone.groupBy(F.col("seeds")[0].alias("seed")).agg(F.count_distinct("doc_id").alias("n")).where(F.col("n") > max(RARE_LEAST, int(RARE_SHARE * n_docs))).select("seed")
-    single = alone.join(sizes, "item_id").where(F.col("words") > 2 * SEED_WORDS).drop("words")
-    dropped = single.join(common, F.col("seeds")[0] == F.col("seed"), "left_anti")
-    short = alone.join(sizes, "item_id").where(F.col("words") <= 2 * SEED_WORDS).drop("words")
-    return found.where("size(seeds) > 1").unionByName(dropped).unionByName(short)
-
-
 def score_windows(found: DataFrame, items: list[tuple[int, str]], min_score: float = MIN_SCORE) -> DataFrame:
     """doc_id, item_id, score, first and last word of the match, for windows that score enough."""
     held = found.sparkSession.sparkContext.broadcast({i: words_of(t) for i, t in items})
@@ -135,9 +136,6 @@ def score_windows(found: DataFrame, items: list[tuple[int, str]], min_score: flo
             out = []
             for doc, item, at, text in zip(*(b.column(c).to_pylist() for c in ("doc_id", "item_id", "at", "window")), strict=True):
                 words, window = held.value[item], text.split(" ")
-                most = sum((Counter(words) & Counter(window)).values())
-                if most < min(min_score * len(words), MIN_WORDS):  # cannot reach the score: every match needs a common word
-                    continue
                 best, end = align(words, window)
                 score = best / (MATCH * len(words))
                 if matches(best, len(words), min_score):
@@ -164,12 +162,11 @@ def item_blocks(benchmark: DataFrame, limit: int = BROADCAST_LIMIT) -> list[list
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, min_score: float = MIN_SCORE, id_col: str = "doc_id") -> DataFrame:
     """The best match of every (document, item) that reaches the score."""
-    spark, n_docs, parts = docs.sparkSession, docs.count(), []
+    parts = []
     for items in item_blocks(benchmark):
         unique = list({i: t for i, t in items}.items())
-        found = staged(windows(docs, unique, id_col), "seed-windows")
-        sizes = spark.createDataFrame([(i, len(words_of(t))) for i, t in unique], "item_id long, words int")
-        parts.append(score_windows(rare_windows(found, n_docs, F.broadcast(sizes)), unique, min_score))
+        found = staged(windows(docs, unique, id_col, min_score=min_score), "seed-windows")
+        parts.append(score_windows(found, unique, min_score))
     rows = reduce(DataFrame.unionByName, parts)
     best = rows.groupBy("doc_id", "item_id").agg(F.max(F.struct("score", (-F.col("first_word")).alias("neg"), "end_word")).alias("m"))
     return best.select("doc_id", "item_id", F.col("m.score").alias("score"), (-F.col("m.neg")).alias("first_word"), F.col("m.end_word").alias("end_word"))

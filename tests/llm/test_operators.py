@@ -219,6 +219,17 @@ def test_many_copies_do_not_make_seeds_common(spark):
     assert decontaminate.contaminated(docs_of(spark, texts), bench).count() == 200
 
 
+def test_edited_copies_with_one_seed(spark):
+    words = [f"word{i}" for i in range(20)]
+    edited = []
+    for i, w in enumerate(words):
+        edited += [w, "foreign"] if i % 2 and i != 1 else [w]
+    texts = [" ".join(edited)] * 60 + [" ".join(words[:3]) + " " + prose(30, i) for i in range(60)]
+    bench = spark.createDataFrame([(1, " ".join(words))], "item_id long, text string")
+    got = {r["doc_id"]: r["score"] for r in decontaminate.contaminated(docs_of(spark, texts), bench).collect()}
+    assert set(got) == set(range(60)) and min(got.values()) >= decontaminate.MIN_SCORE
+
+
 # --- set join ---
 
 
