@@ -11,7 +11,8 @@
 Test items are a small table: they are sent to the executors in blocks of bounded bytes, whatever their number.
 
 Defined cases: null or empty text or item matches nothing; repeated rows and items give the same match once a
-(doc_id, item_id); a null doc_id is reported as null; an empty table on either side gives an empty table; extra
+(doc_id, item_id); the texts that share an item_id are searched each, and the best match counts; so are those of a
+null item_id, reported as null; a null doc_id is reported as null; an empty table on either side gives an empty table; extra
 columns are ignored; very long texts are read whole.
 """
 
@@ -148,10 +149,10 @@ def score_windows(found: DataFrame, items: list[tuple[int, str]], min_score: flo
     return found.select("doc_id", "item_id", "at", "window").mapInArrow(rate, "doc_id long, item_id long, score double, first_word long, end_word long")
 
 
-def item_blocks(benchmark: DataFrame, limit: int = BROADCAST_LIMIT) -> list[list[tuple[int, str]]]:
+def item_blocks(benchmark: DataFrame, limit: int = BROADCAST_LIMIT) -> list[list[tuple[int | None, str]]]:
     """The test items, gathered in blocks of at most ``limit`` bytes of text (a single longer item is its own block)."""
     blocks, used = [[]], 0
-    for r in benchmark.select(F.col("item_id").cast("long").alias("i"), F.col("text").alias("t")).where("i IS NOT NULL AND t IS NOT NULL").distinct().orderBy("i", "t").toLocalIterator():
+    for r in benchmark.select(F.col("item_id").cast("long").alias("i"), F.col("text").alias("t")).where("t IS NOT NULL").distinct().orderBy("i", "t").toLocalIterator():
         if blocks[-1] and used + len(r["t"]) > limit:
             blocks.append([])
             used = 0
@@ -164,9 +165,11 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, min_score: float = MIN_S
     """The best match of every (document, item) that reaches the score."""
     parts = []
     for items in item_blocks(benchmark):
-        unique = list({i: t for i, t in items}.items())
-        found = staged(windows(docs, unique, id_col, min_score=min_score), "seed-windows")
-        parts.append(score_windows(found, unique, min_score))
+        numbered = [(k, t) for k, (_, t) in enumerate(items)]  # ids may repeat or be null
+        found = staged(windows(docs, numbered, id_col, min_score=min_score), "seed-windows")
+        ids = docs.sparkSession.createDataFrame([(k, i) for k, (i, _) in enumerate(items)], "_key long, item_id long")
+        scored = score_windows(found, numbered, min_score).withColumnRenamed("item_id", "_key")
+        parts.append(scored.join(F.broadcast(ids), "_key").select("doc_id", "item_id", "score", "first_word", "end_word"))
     rows = reduce(DataFrame.unionByName, parts)
     best = rows.groupBy("doc_id", "item_id").agg(F.max(F.struct("score", (-F.col("first_word")).alias("neg"), "end_word")).alias("m"))
     return best.select("doc_id", "item_id", F.col("m.score").alias("score"), (-F.col("m.neg")).alias("first_word"), F.col("m.end_word").alias("end_word"))

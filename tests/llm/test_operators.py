@@ -230,6 +230,14 @@ def test_edited_copies_with_one_seed(spark):
     assert set(got) == set(range(60)) and min(got.values()) >= decontaminate.MIN_SCORE
 
 
+def test_items_that_share_an_id(spark):
+    items = [(1, prose(30, 71)), (1, prose(30, 72)), (None, prose(30, 73)), (None, prose(30, 74)), (2, prose(30, 75))]
+    texts = [prose(40, 500 + i) + " " + t for i, (_, t) in enumerate(items)] + [prose(60, 600)]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    got = decontaminate.contaminated(docs_of(spark, texts), bench).collect()
+    assert sorted((r["doc_id"], str(r["item_id"]), r["score"]) for r in got) == [(i, str(k), 1.0) for i, (k, _) in enumerate(items)]
+
+
 # --- set join ---
 
 
