@@ -20,9 +20,10 @@ BROADCAST_LIMIT = 8 << 20
 
 
 #: Rows and bytes of an Arrow batch: texts are long, and a batch is held by the executor and its worker at once.
-BATCH_ROWS, BATCH_BYTES = 1_000, 16 << 20
+BATCH_ROWS, BATCH_BYTES = 1_000, 4 << 20
 
 _HOLDS: dict[str, Callable[[], None]] = {}
+_LEAN: list[bool] = []
 
 
 def prepare(spark: SparkSession) -> None:
@@ -37,8 +38,26 @@ def hold(owner: str, clear: Callable[[], None]) -> None:
     _HOLDS[owner] = clear
 
 
+def lean() -> None:
+    """In a worker: large blocks that are freed go back to the system at once, so the batch at hand bounds the process."""
+    if not _LEAN:
+        import ctypes
+
+        import pyarrow as pa
+
+        _LEAN.append(True)
+        pa.set_memory_pool(pa.system_memory_pool())
+        try:
+            libc = ctypes.CDLL("libc.so.6")
+            libc.mallopt(-3, 1 << 20)  # blocks from this size on are mapped
+            libc.mallopt(-1, 1 << 20)  # so much free memory may stay at the heap's end
+        except (OSError, AttributeError):  # another C library
+            pass
+
+
 def take_over(owner: str) -> None:
     """In a worker, as a task begins: caches that other operators left in this process give way."""
+    lean()
     others = [k for k in _HOLDS if k != owner]
     for k in others:
         _HOLDS.pop(k)()
@@ -82,6 +101,16 @@ def staged(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def merged_scan(df: DataFrame, by: int = 8) -> DataFrame:
+    """A scan in fewer, longer tasks, for steps that make a narrow row of a wide one: else they leave many tiny files.
+
+    ``df`` is a table as read, as its plan is asked for its tasks. Tasks stream, so their memory does not grow; there
+    are at least two tasks a core.
+    """
+    now = df.rdd.getNumPartitions()
+    return df.coalesce(max(2 * df.sparkSession.sparkContext.defaultParallelism, now // by)) if now > 1 else df
+
+
 def extended(schema: T.StructType, **fields: T.DataType) -> T.StructType:
     return T.StructType([*schema.fields, *(T.StructField(k, v) for k, v in fields.items())])
 
@@ -134,9 +163,24 @@ def with_prefix_sums(df: DataFrame, group: str, order: list, weight: str, out: s
     return local_sums.join(F.broadcast(base), ["_part", group]).withColumn(out, F.col("_before") + F.col("_base")).select(*df.columns, out)
 
 
+def fresh(name: str, taken: list[str]) -> str:
+    """``name``, or with underscores added until no column is called so (Spark ignores case)."""
+    used = {c.lower() for c in taken}
+    while name.lower() in used:
+        name += "_"
+    return name
+
+
 def with_row_ids(docs: DataFrame, id_col: str = "doc_id") -> tuple[DataFrame, str]:
     """The rows and a column that tells them apart: ``id_col`` if it does, else a stored row number."""
     r = docs.agg(F.count(F.lit(1)), F.count_distinct(id_col)).first()
     if r[0] == r[1]:
         return docs, id_col
-    return staged(docs.withColumn("_row", F.monotonically_increasing_id()), "rows"), "_row"
+    key = fresh("_row", docs.columns)
+    return staged(docs.withColumn(key, F.monotonically_increasing_id()), "rows"), key
+
+
+def without(rows: DataFrame, key: str, gone: DataFrame, columns: list[str]) -> DataFrame:
+    """``columns`` of the rows whose ``key`` is not in the one column of ``gone``."""
+    other = fresh("_gone", rows.columns)
+    return rows.join(gone.toDF(other), F.col(f"`{key}`") == F.col(other), "left_anti").select(*(F.col(f"`{c}`") for c in columns))

@@ -23,7 +23,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import staged, take_over
+from .common import merged_scan, staged, take_over
 
 BUCKETS, SAMPLE_DOCS, TEXT_TRIALS = 8192, 4000, 60
 DECLARED_HIT, SUFFIX_HIT, HOST_WEIGHT, MIN_POSTERIOR = 0.9, 0.8, 20, 0.5
@@ -110,11 +110,16 @@ def _softmax(parts: list[Column]) -> list[Column]:
     return [F.exp(p - top) / whole for p in parts]
 
 
-def host_priors(scores: DataFrame, langs: list[str]) -> DataFrame:
-    """(host, h_<k>): log prior of each language. Posteriors are summed as whole thousandths, so any order sums alike."""
+def host_sums(scores: DataFrame, langs: list[str]) -> DataFrame:
+    """(host, s_<k>): text posteriors summed as whole thousandths, so any order sums alike."""
     post = _softmax([F.col(f"t_{k}") for k in range(len(langs))])
     sums = [F.sum(F.when(F.col("n") > 0, F.round(1000 * p)).otherwise(0).cast("long")).alias(f"s_{k}") for k, p in enumerate(post)]
-    by_host = scores.groupBy("host").agg(*sums).withColumn("domain", F.substring_index("host", ".", -2))
+    return scores.groupBy("host").agg(*sums)
+
+
+def host_priors(sums: DataFrame, langs: list[str]) -> DataFrame:
+    """(host, h_<k>): log prior of each language, smoothed host -> domain -> all."""
+    by_host = sums.withColumn("domain", F.substring_index("host", ".", -2))
     again = [F.sum(f"s_{k}").alias(f"d_{k}") for k in range(len(langs))]
     by_domain = by_host.groupBy("domain").agg(*again)
     whole = by_domain.agg(*(F.sum(f"d_{k}").alias(f"d_{k}") for k in range(len(langs)))).take(1)[0]
@@ -157,11 +162,10 @@ def identify(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str
     ``declared``: markup language; ``suffix``: language an address hints at; ``host``: the host or source.
     """
     langs = model["langs"]
-    scores = staged(score(docs, model, {id_col: F.col(id_col)} | _inputs(docs, declared, suffix, host), text_col), "language-scores")
+    scores = staged(score(merged_scan(docs), model, {id_col: F.col(id_col)} | _inputs(docs, declared, suffix, host), text_col), "language-scores")
     if not langs:
         return scores.select(id_col, F.lit(None).cast("string").alias("lang_pred"), F.lit(0.0).alias("posterior"), F.lit(False).alias("kept"))
-    priors = staged(host_priors(scores, langs), "host-priors")  # a row a host
-    return fuse(scores, priors, langs).select(id_col, "lang_pred", "posterior", "kept")
+    return fuse(scores, host_priors(host_sums(scores, langs), langs), langs).select(id_col, "lang_pred", "posterior", "kept")
 
 
 def accepted(docs: DataFrame, model: dict, text_col: str = "text", declared: Column | None = None, suffix: Column | None = None, host: Column | None = None) -> DataFrame:
@@ -170,7 +174,8 @@ def accepted(docs: DataFrame, model: dict, text_col: str = "text", declared: Col
     if not langs:
         return docs.limit(0)
     inputs = _inputs(docs, declared, suffix, host)
-    priors = staged(host_priors(score(docs, model, inputs, text_col), langs), "host-priors")
+    sums = staged(host_sums(score(merged_scan(docs), model, inputs, text_col), langs), "host-sums")  # a row a host
+    priors = host_priors(sums, langs)
     carried = {f"_c{i}": F.col(f"`{c}`") for i, c in enumerate(names)}
     verdicts = fuse(score(docs, model, carried | inputs, text_in=f"_c{names.index(text_col)}"), priors, langs).where("kept")
     return verdicts.select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(names)))

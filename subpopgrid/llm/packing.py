@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import extended, staged, with_prefix_sums
+from .common import extended, merged_scan, staged, with_prefix_sums
 from .tokens import encoder
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -57,7 +57,8 @@ def pieces(docs: DataFrame, capacity: int, vocabulary: str = "byte_bpe_50k.json"
             names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds, strict=True)][: 5 + with_ids], names=names[: 5 + with_ids])
 
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    texts = docs if with_ids else merged_scan(docs)
+    texts = texts.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     return texts.mapInArrow(cut, PIECES + ", ids binary" * with_ids)
 
 

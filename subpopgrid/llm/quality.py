@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import staged, take_over
+from .common import merged_scan, staged, take_over
 
 BLANKS, SYMBOLS = " \t\n\v\f\r", "#*$%&|<>"
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
@@ -111,15 +111,15 @@ def judge(counts: DataFrame, bounds: DataFrame) -> DataFrame:
 
 def quality(docs: DataFrame) -> DataFrame:
     """doc_id, the base counts, base_failed and kept of every row."""
-    counts = staged(base_counts(docs), "quality-counts")
-    bounds = staged(limits(sketches(counts)).coalesce(1), "quality-limits")
+    counts = staged(base_counts(merged_scan(docs)), "quality-counts")
+    bounds = staged(limits(sketches(counts)), "quality-limits")
     return judge(counts, bounds).select("doc_id", *BASE, "base_failed", "kept")
 
 
 def passed(docs: DataFrame) -> DataFrame:
     """The rows that are kept, all columns as they were. Rows are measured twice (limits, verdict) rather than shuffled."""
     names = docs.columns
-    bounds = staged(limits(sketches(base_counts(docs))).coalesce(1), "quality-limits")
+    bounds = staged(limits(sketches(base_counts(merged_scan(docs)))), "quality-limits")
     carried = docs.select(*(F.col(f"`{c}`").alias(f"_c{i}") for i, c in enumerate(names)), F.col("lang"), F.col("source"))
     counts = base_counts(carried, f"_c{names.index('text')}", tuple(carried.columns))
     return judge(counts, bounds).where("kept").select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(names)))

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import hold, staged, take_over
+from .common import hold, merged_scan, staged, take_over
 from .components import components
 
 #: Counters of the sketch that orders elements (fixed size, whatever the corpus), in blocks of a row each.
@@ -184,7 +184,7 @@ def _linked(num: int, den: int) -> str:
 def classes(docs: DataFrame, n: int, num: int, den: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id of every row; sets link when den * intersection >= num * union."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    scanned = staged(signatures(texts, n), "signatures")
+    scanned = staged(signatures(merged_scan(texts), n), "signatures")
     light = scanned.where("block IS NULL").select("doc_id", "n_shingles", "sig")
     reps = staged(light.where("sig IS NOT NULL").groupBy("sig").agg(F.min("doc_id").alias("rep")), "representatives")
     sketch = merge_sketch(scanned.where("block IS NOT NULL").select("block", "task", "counts"))
