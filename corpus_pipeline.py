@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from subpopgrid.llm import decontaminate, language, packing, quality, set_join
-from subpopgrid.llm.common import prepare, staged, with_row_ids
+from subpopgrid.llm.common import prepare, staged, with_row_ids, without
 
 #: Near duplicates: word n-grams and the least similarity (a fraction).
 NEAR_WORDS, NEAR_NUM, NEAR_DEN = 5, 80, 100
@@ -32,16 +32,14 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     prepare(spark)
     rows, key = with_row_ids(docs)
     found = set_join.classes(rows, NEAR_WORDS, NEAR_NUM, NEAR_DEN, id_col=key)
-    gone = staged(found.where("doc_id != component_id").select(F.col("doc_id").alias("_gone")), "copies")
-    return rows.join(gone, F.col(key) == F.col("_gone"), "left_anti").select(*docs.columns)
+    return without(rows, key, staged(found.where("doc_id != component_id").select("doc_id"), "copies"), docs.columns)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     prepare(spark)
     rows, key = with_row_ids(docs)
     found = decontaminate.contaminated(rows, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), id_col=key)
-    gone = staged(found.select(F.col("doc_id").alias("_gone")).distinct(), "contaminated")
-    return rows.join(gone, F.col(key) == F.col("_gone"), "left_anti").select(*docs.columns)
+    return without(rows, key, staged(found.select("doc_id").distinct(), "contaminated"), docs.columns)
 
 
 def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
