@@ -165,7 +165,8 @@ def identify(docs: DataFrame, model: dict, id_col: str = "doc_id", text_col: str
     scores = staged(score(merged_scan(docs), model, {id_col: F.col(id_col)} | _inputs(docs, declared, suffix, host), text_col), "language-scores")
     if not langs:
         return scores.select(id_col, F.lit(None).cast("string").alias("lang_pred"), F.lit(0.0).alias("posterior"), F.lit(False).alias("kept"))
-    return fuse(scores, host_priors(host_sums(scores, langs), langs), langs).select(id_col, "lang_pred", "posterior", "kept")
+    priors = staged(host_priors(staged(host_sums(scores, langs), "host-sums"), langs), "host-priors")  # a row a host
+    return fuse(scores, priors, langs).select(id_col, "lang_pred", "posterior", "kept")
 
 
 def accepted(docs: DataFrame, model: dict, text_col: str = "text", declared: Column | None = None, suffix: Column | None = None, host: Column | None = None) -> DataFrame:
@@ -175,7 +176,7 @@ def accepted(docs: DataFrame, model: dict, text_col: str = "text", declared: Col
         return docs.limit(0)
     inputs = _inputs(docs, declared, suffix, host)
     sums = staged(host_sums(score(merged_scan(docs), model, inputs, text_col), langs), "host-sums")  # a row a host
-    priors = host_priors(sums, langs)
+    priors = staged(host_priors(sums, langs), "host-priors")
     carried = {f"_c{i}": F.col(f"`{c}`") for i, c in enumerate(names)}
     verdicts = fuse(score(docs, model, carried | inputs, text_in=f"_c{names.index(text_col)}"), priors, langs).where("kept")
     return verdicts.select(*(F.col(f"_c{i}").alias(c) for i, c in enumerate(names)))
