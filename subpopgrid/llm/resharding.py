@@ -6,10 +6,14 @@
   blocks, one a target; the part that stays comes first, so the moved blocks are the small documents and a
   target misses its capacity by a few small documents at most. A block is known by its first document, so every row
   finds its block by comparison with the cuts of its shard: texts are not joined.
-* Only shards that lose or gain rows are written.
+* Only shards that lose or gain rows are written, by tasks of equal bytes: a bounded sample of rows, drawn with
+  chances in proportion to their bytes, gives the bounds of the tasks' ranges, so neither a shard of few long texts
+  nor one of many short ones is a hot task.
 
 Defined cases: null text has no bytes but the overhead; null old shard counts as shard 0; rows with equal doc_id and
-size stay together; null doc_id sorts first; an empty table gives an empty table; extra columns travel along.
+size stay together; null doc_id sorts first; an empty table gives an empty table; extra columns travel along, those named
+like the operator's own (``shard``, ``_old``, ``_row``, ``_task``) under their names with underscores added; a very
+long text is one row of one task, whose range then holds little else; repeated rows are placed each.
 """
 
 from __future__ import annotations
@@ -19,9 +23,12 @@ from collections import deque
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import new_path, with_prefix_sums
+from .common import fresh, new_path, with_prefix_sums
 
 OVERHEAD = 16
+#: Bytes of text that a writing task takes, the most such tasks, and the sampled rows that set their bounds.
+TASK_BYTES, MOST_TASKS, SAMPLE_ROWS = 128 << 20, 250_000, 1_000_000
+OWN = ("shard", "_old", "_row", "_task")
 
 
 def text_bytes(text: str = "text") -> Column:
@@ -118,21 +125,56 @@ def assign(docs: DataFrame, old_shard: Column, cuts: list[tuple], id_col: str =
     return docs.withColumn("_old", F.coalesce(old_shard, F.lit(0)).cast("long")).join(F.broadcast(table), "_old", "left").withColumn("shard", F.coalesce(found, F.col("_cuts")[0]["target"])).drop("_cuts")
 
 
+def in_tasks(placed: DataFrame, total: int, id_col: str, text_col: str) -> tuple[DataFrame, int]:
+    """Add ``_task``: ranges of (shard, id, hash of the text) that hold equal bytes, and their number.
+
+    A row is sampled with a chance of its bytes over ``unit`` (surely from there on) and then stands for ``unit`` (or its)
+    bytes. Each shard's bounds are broadcast as blocks, so a row finds its range in two short searches.
+    """
+    spark = placed.sparkSession
+    tasks = min(MOST_TASKS, max(2 * spark.sparkContext.defaultParallelism, total // TASK_BYTES + 1))
+    unit = max(1, total // min(SAMPLE_ROWS, 64 * tasks))
+    key = (F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63))).alias("id"), F.xxhash64(text_col).alias("tie"))
+    light = placed.select("shard", *key, text_bytes(text_col).alias("size"))
+    drawn = F.pmod(F.xxhash64("tie", "id", "shard"), F.lit(unit)) < F.col("size")
+    sample = sorted((r["shard"], r["id"], r["tie"], max(unit, r["size"])) for r in light.where(drawn).toLocalIterator())
+    step, at, last, bounds = sum(r[3] for r in sample) / tasks, 0, 0, {}
+    for shard, id_, tie, weight in sample:
+        if int(at / step) > last:
+            last = int(at / step)
+            bounds.setdefault(shard, []).append((id_, tie))
+        at += weight
+    width = 64
+    rows, before = [], 0
+    for shard in sorted({r[0] for r in sample}):
+        own = bounds.get(shard, [])
+        rows.append((shard, before, own[::width], [own[i : i + width] for i in range(0, len(own), width)]))
+        before += len(own)
+    pair = "array<struct<id:long,tie:long>>"
+    table = spark.createDataFrame(rows, f"shard int, _first int, _tops {pair}, _blocks array<{pair}>")
+    upto = lambda bounds_: F.size(F.filter(bounds_, lambda b: F.struct(b["id"], b["tie"]) <= F.struct(*key)))
+    block = upto(F.col("_tops")) - 1
+    inside = F.when(block < 0, 0).otherwise(block * width + upto(F.coalesce(F.get("_blocks", block), F.array().cast(pair))))
+    found = placed.join(F.broadcast(table), "shard", "left").withColumn("_task", (F.coalesce(F.col("_first"), F.lit(0)) + F.coalesce(inside, F.lit(0))).cast("int"))
+    return found.drop("_first", "_tops", "_blocks"), before + 1
+
+
 def reshard(docs: DataFrame, old_shard: Column, shards: int, path: str, rewrite_all: bool = False, id_col: str = "doc_id", text_col: str = "text") -> dict:
     """Rewrite the affected shards below ``path`` (folders ``shard=k``, rows by id with their position ``_row``).
 
     ``rewrite_all`` writes unaffected shards too (a first layout). Returns the flow.
     """
-    cuts, flow = plan_blocks(docs, old_shard, shards, id_col, text_col)
+    docs = docs.select(F.coalesce(old_shard, F.lit(0)).cast("long").alias("_old"), *(F.col(f"`{c}`").alias(fresh(c, [*OWN, *docs.columns]) if c.lower() in OWN else c) for c in docs.columns))
+    cuts, flow = plan_blocks(docs, F.col("_old"), shards, id_col, text_col)
     if not cuts:
-        docs.withColumn("_row", F.lit(0).cast("long")).withColumn("_task", F.lit(0)).withColumn("shard", F.lit(0)).limit(0).write.partitionBy("shard").parquet(path)
+        docs.drop("_old").withColumn("_row", F.lit(0).cast("long")).withColumn("_task", F.lit(0)).withColumn("shard", F.lit(0)).limit(0).write.partitionBy("shard").parquet(path)
         return flow
-    placed = assign(docs, old_shard, cuts, id_col, text_col)
+    placed = assign(docs, F.col("_old"), cuts, id_col, text_col).drop("_old")
     if not rewrite_all:
         touched = sorted({k for (s, t) in flow if s != t for k in (s, t) if k < shards})
         placed = placed.where(F.col("shard").isin(touched))
-    lined = placed.drop("_old").repartitionByRange("shard", id_col).sortWithinPartitions("shard", id_col)
-    lined = lined.withColumn("_row", F.monotonically_increasing_id()).withColumn("_task", F.spark_partition_id())
+    numbered, tasks = in_tasks(placed, sum(flow.values()), id_col, text_col)
+    lined = numbered.repartitionById(tasks, "_task").sortWithinPartitions("shard", id_col).withColumn("_row", F.monotonically_increasing_id())
     lined.write.option("compression", "zstd").partitionBy("shard").parquet(path)
     return flow
 
