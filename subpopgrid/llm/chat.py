@@ -10,7 +10,8 @@ many conversations share spreads over tasks. The conversation with more assistan
 
 Defined cases: null or empty turn texts render as empty; a null role is ``user``; repeated turns are kept, ordered by
 (turn, role, text); equal conversations have an empty completion on both sides; an empty table gives an empty table;
-extra columns are ignored; a null conversation id is left out.
+extra columns are ignored, whatever their names; a null conversation id is left out; very long turns are rendered whole
+(a conversation is one value, as its reader needs it).
 """
 
 from __future__ import annotations
@@ -100,6 +101,45 @@ def op8_preference_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return format_pairs(pair_up(gather(spark.read.parquet(f"{sf_dir}/conversations.parquet"))))
 
 
+def other_replies(convs: DataFrame) -> DataFrame:
+    """Pairs whose rejected side is the same conversation up to its last assistant turn, answered as the next conversation
+    (by id, the first after the last) answers at its own end. Conversations without an assistant turn are left out.
+    """
+    last = F.size("turns") - F.array_position(F.transform(F.reverse("turns"), lambda t: t["role"] == "assistant"), True).cast("int") + 1
+    with_reply = staged(convs.where(F.exists("turns", lambda t: t["role"] == "assistant")).select("conv_id", F.slice("turns", F.lit(1), last).alias("turns")), "conversations")
+    order = ranked(with_reply.select("conv_id", F.lit(0).cast("long").alias("opening")))
+    own = with_reply.join(order, "conv_id").select("conv_id", "turns", F.pmod(F.col("k") + 1, "n").alias("next"))
+    replies = with_reply.select("conv_id", F.element_at("turns", -1).alias("reply")).join(order, "conv_id").select(F.col("conv_id").alias("rejected_id"), "reply", F.col("k").alias("next"))
+    pairs = own.join(replies, "next")
+    return pairs.select(F.col("conv_id").alias("chosen_id"), "rejected_id", F.col("turns").alias("chosen"), F.concat(F.slice("turns", F.lit(1), F.size("turns") - 1), F.array("reply")).alias("rejected"))
+
+
+def preference_other_replies(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All conversations as pairs that share all but the last answer: the prompt is what came before it."""
+    return format_pairs(other_replies(gather(spark.read.parquet(f"{sf_dir}/conversations.parquet"))))
+
+
+_CONVS = """
+WITH convs AS (
+  SELECT conv_id, list({'role': coalesce(role, 'user'), 'text': coalesce(text, '')} ORDER BY turn, coalesce(role, 'user'), coalesce(text, '')) AS turns
+  FROM conversations WHERE conv_id IS NOT NULL GROUP BY conv_id
+), """
+
+
+def other_replies_sql() -> str:
+    """The pairs of ``preference_other_replies`` in DuckDB SQL."""
+    tail = op8_sql().partition("), cut AS (")[2]
+    return f"""{_CONVS}answered AS (
+  SELECT conv_id, turns[1:list_max(list_filter(range(1, len(turns) + 1), lambda i: turns[i].role = 'assistant'))] AS turns FROM convs
+  WHERE len(list_filter(turns, lambda t: t.role = 'assistant')) > 0
+), ordered AS (
+  SELECT *, row_number() OVER (ORDER BY conv_id) - 1 AS k, count(*) OVER () AS n FROM answered
+), both_sides AS (
+  SELECT a.conv_id AS chosen_id, b.conv_id AS rejected_id, a.turns AS ca, list_append(a.turns[1:len(a.turns) - 1], b.turns[len(b.turns)]) AS cb
+  FROM ordered a JOIN ordered b ON b.k = (a.k + 1) % a.n
+), cut AS ({tail}"""
+
+
 def op8_sql() -> str:
     """The same pairs in DuckDB SQL (openings are compared as texts, as equal hashes stand for equal texts)."""
     return f"""

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import extended, merged_scan, staged, with_prefix_sums
+from .common import BROADCAST_LIMIT, extended, merged_scan, staged, with_prefix_sums
 from .tokens import encoder
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -107,6 +107,21 @@ def sweep(counts: dict[int, int], capacity: int) -> tuple[list[tuple[int, int, i
     return placed, opened
 
 
+def place_by_join(short: DataFrame, runs: list[tuple[int, int, int, int]], names: list[str]) -> DataFrame:
+    """As ``pack`` places them, with the runs as a table joined by length and block of ranks."""
+    spark, width = short.sparkSession, 1 << 16
+    ends = {}
+    rows = []
+    for length, rank, first, offset in sorted(runs, reverse=True):
+        rows.append((length, rank, ends.get(length, 1 << 62), first, offset))
+        ends[length] = rank
+    last = {r["length"]: r["m"] for r in short.groupBy("length").agg(F.max("_rank").alias("m")).collect()}  # at most a row a length
+    cut = [(n, a, b, first, offset, k) for n, a, b, first, offset in rows for k in range(a // width, min(b - 1, last[n]) // width + 1)]
+    table = spark.createDataFrame(cut, "_l long, _a long, _b long, _first long, _off long, _k long")
+    found = short.join(table, (F.col("length") == F.col("_l")) & (F.expr(f"_rank div {width}") == F.col("_k"))).where("_rank >= _a AND _rank < _b")
+    return found.select(*names, (F.col("_first") + F.col("_rank") - F.col("_a")).alias("sequence_id"), F.col("_off").alias("offset"))
+
+
 def pack(parts: DataFrame, capacity: int) -> DataFrame:
     """Add ``sequence_id`` and ``offset`` to rows that have ``length`` (1 to capacity) and stand for one piece each."""
     spark = parts.sparkSession
@@ -118,6 +133,8 @@ def pack(parts: DataFrame, capacity: int) -> DataFrame:
     for length, rank, first, offset in runs:
         by_length.setdefault(length, []).append((rank, first, offset))
     table = {k: np.array(sorted(v), dtype=np.int64).T for k, v in by_length.items()}
+    if sum(t.nbytes for t in table.values()) > BROADCAST_LIMIT:  # about 24 bytes a run: capacities beyond a hundred thousand
+        return place_by_join(short, runs, parts.columns)
     held, names = spark.sparkContext.broadcast(table), parts.columns
     schema = extended(parts.schema, sequence_id=T.LongType(), offset=T.LongType())
 

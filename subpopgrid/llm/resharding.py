@@ -13,7 +13,8 @@
 Defined cases: null text has no bytes but the overhead; null old shard counts as shard 0; rows with equal doc_id and
 size stay together; null doc_id sorts first; an empty table gives an empty table; extra columns travel along, those named
 like the operator's own (``shard``, ``_old``, ``_row``, ``_task``) under their names with underscores added; a very
-long text is one row of one task, whose range then holds little else; repeated rows are placed each.
+long text is one row of one task, whose range then holds little else; repeated rows are placed each (those equal in id and
+text are written by one task).
 """
 
 from __future__ import annotations

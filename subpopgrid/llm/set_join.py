@@ -209,11 +209,13 @@ def classes(docs: DataFrame, n: int, num: int, den: int, id_col: str = "doc_id",
 
     # sets of one list whose classes differ: bounds from a common pivot first, then measuring
     nearest = measured.groupBy("b").agg(F.max_by("a", F.col("overlap") * (1 << 32) + F.pmod("a", F.lit(1 << 32))).alias("near"), F.max("overlap").alias("shared"))
-    known = staged(lists.join(reached.withColumnRenamed("id", "_id"), F.col("id") == F.col("_id"), "left").join(nearest, F.col("id") == F.col("b"), "left").select("token", "id", "size", "pos", F.coalesce("component", "id").alias("comp"), "near", "shared"), "known")
+    known = staged(lists.join(reached.withColumnRenamed("id", "_id"), F.col("id") == F.col("_id"), "left").join(nearest, F.col("id") == F.col("b"), "left").select("token", "id", "size", "pos", "band", F.coalesce("component", "id").alias("comp"), "near", "shared"), "known")
     mixed = staged(known.groupBy("token").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 < c1").select(F.col("token").alias("_t")), "mixed")
     open_ = known.join(mixed, F.col("token") == F.col("_t"), "left_semi")
     x, y = (open_.select(*(F.col(c).alias(f"{c}_{s}") for c in open_.columns)) for s in "ab")
-    near = x.join(y, (F.col("token_a") == F.col("token_b")) & (F.col("comp_a") < F.col("comp_b")) & F.expr(f"{den} * least(size_a, size_b) >= {num} * greatest(size_a, size_b)") & F.expr(fits("size_a", "pos_a", "size_b", "pos_b")))
+    # sets that may link differ by a band of sizes at most, so a long list meets itself band by band
+    y = y.withColumn("at", F.explode(F.array(F.col("band_b") - 1, F.col("band_b"), F.col("band_b") + 1)))
+    near = x.join(y, (F.col("token_a") == F.col("token_b")) & (F.col("band_a") == F.col("at")) & (F.col("comp_a") < F.col("comp_b")) & F.expr(f"{den} * least(size_a, size_b) >= {num} * greatest(size_a, size_b)") & F.expr(fits("size_a", "pos_a", "size_b", "pos_b")))
     upper = "least(shared_a, shared_b) + least(size_a - shared_a, size_b - shared_b)"
     possible = near.where(f"NOT coalesce(near_a = near_b AND {num + den} * ({upper}) < {num} * (size_a + size_b), false)")
     pairs = possible.select(F.col("id_a").alias("a"), F.col("id_b").alias("b")).distinct()

@@ -29,7 +29,7 @@ from html import unescape
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_LIMIT, staged
+from .common import BROADCAST_LIMIT, staged, take_over
 
 # Element names and the words of class and id attributes that mark what is not main text.
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
@@ -328,22 +328,23 @@ def clean(text: str) -> str:
     return " ".join(unescape(text).split())
 
 
-def extract(pages: DataFrame, limit: int = BROADCAST_LIMIT) -> DataFrame:
-    """page_id, url, text and n_chars of every page."""
+def extract(pages: DataFrame, limit: int = BROADCAST_LIMIT, keep: tuple[str, ...] = ()) -> DataFrame:
+    """page_id, url, the columns of ``keep``, text and n_chars of every page."""
     learnt = staged(wrappers(pages), "wrappers")
     size = learnt.agg(F.sum(F.length("wrapper") + F.length("host") + 64)).first()[0] or 0
     table = None
-    rows = pages.select("page_id", "url", "html")
+    rows = pages.select("page_id", "url", "html", *keep)
     if size <= limit:
         table = pages.sparkSession.sparkContext.broadcast({r["host"]: r["wrapper"] for r in learnt.toLocalIterator()})
     else:
         shape = r"(?s)^.*?://([^/?#]*)"
-        rows = rows.withColumn("host", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), shape, 1))).join(learnt, "host", "left").select("page_id", "url", "html", "wrapper")
+        rows = rows.withColumn("host", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), shape, 1))).join(learnt, "host", "left").select("page_id", "url", "html", *keep, "wrapper")
     names = rows.columns
 
     def pull(batches):
         import pyarrow as pa
 
+        take_over("pages")
         labels: dict = {}
         slots: dict = {}
         held: dict = {}
@@ -362,10 +363,10 @@ def extract(pages: DataFrame, limit: int = BROADCAST_LIMIT) -> DataFrame:
                         slots.clear()
                         held.clear()
                 texts.append("\n".join(t for p, keep in zip(parts, main, strict=True) if keep and (t := clean(p))))
-            yield pa.RecordBatch.from_arrays([b.column("page_id"), b.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in carried), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=[*carried, "text", "n_chars"])
 
-    kind = dict(pages.dtypes)["page_id"]
-    return rows.mapInArrow(pull, f"page_id {kind}, url string, text string, n_chars long")
+    kinds, carried = dict(pages.dtypes), ("page_id", "url", *keep)
+    return rows.mapInArrow(pull, ", ".join([*(f"`{c}` {kinds[c]}" for c in carried), "text string", "n_chars long"]))
 
 
 def op2_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:

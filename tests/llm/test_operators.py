@@ -125,6 +125,14 @@ def test_sweep_equals_sequential_best_fit(lengths):
         assert at <= 32
 
 
+def test_places_by_join_are_the_same(spark, monkeypatch):
+    docs = docs_of(spark, [*ODD, *(prose(random.Random(i).randint(1, 90), i) for i in range(80))])
+    key = lambda df: sorted((r["doc_id"], r["piece"], r["sequence_id"], r["offset"]) for r in df.collect())
+    usual = key(packing.pack(packing.pieces(docs, 64), 64))
+    monkeypatch.setattr(packing, "BROADCAST_LIMIT", 0)
+    assert key(packing.pack(packing.pieces(docs, 64), 64)) == usual
+
+
 def test_packing_places_every_piece(spark):
     texts = [*ODD, prose(2500, 3)]
     got = packing.pack(packing.pieces(docs_of(spark, texts), 64), 64).toPandas()
@@ -180,6 +188,20 @@ def test_resharding(spark, tmp_path):
     assert resharding.read_shards(spark, f"file://{tmp_path}/none", "doc_id long, text string, _row long, _task int, shard int").count() == 0
 
 
+def test_resharding_balances_bytes_and_renames_clashes(spark, tmp_path):
+    texts = [f"{i:05}" + "x" * 19_995 for i in range(40)] + [f"short {i}" for i in range(3000)]
+    docs = spark.createDataFrame([(i if i % 3 else None, t, "mine") for i, t in enumerate(texts)], "doc_id long, text string, shard string").withColumn("_Row", F.lit("row"))
+    path = f"file://{tmp_path}/s"
+    resharding.reshard(docs, F.when(F.col("shard") == "mine", 1), 4, path, rewrite_all=True)
+    got = resharding.read_shards(spark, path, "doc_id long, text string, shard_ string, _Row_ string, _row long, _task int, shard int").toPandas()
+    assert sorted(got.text) == sorted(texts) and set(got.shard_) == {"mine"} and set(got._Row_) == {"row"}
+    assert all(sorted(g.slot) == list(range(len(g))) for _, g in got.groupby("shard"))
+    placed = got.assign(size=[len(t) + 16 for t in got.text])
+    rows, tasks = resharding.in_tasks(spark.createDataFrame(placed[["doc_id", "text", "shard"]].astype(object).where(placed[["doc_id", "text", "shard"]].notna(), None), "doc_id double, text string, shard int"), int(placed["size"].sum()), "doc_id", "text")
+    each = rows.groupBy("_task").agg(F.sum(resharding.text_bytes()).alias("n")).toPandas().n
+    assert tasks >= 8 and each.max() <= 2 * placed["size"].sum() / tasks + 20_016
+
+
 # --- decontamination ---
 
 
@@ -230,6 +252,13 @@ def test_edited_copies_with_one_seed(spark):
     assert set(got) == set(range(60)) and min(got.values()) >= decontaminate.MIN_SCORE
 
 
+def test_block_size_changes_nothing(spark):
+    docs, items = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/benchmark.parquet")
+    clash = docs.withColumn("item_id", F.lit("x")).withColumn("window", F.lit("x"))
+    key = lambda df: sorted(map(tuple, df.collect()))
+    assert key(decontaminate.contaminated(clash, items, block_bytes=8 << 20)) == key(decontaminate.contaminated(docs, items, block_bytes=1 << 10)) != []
+
+
 def test_items_that_share_an_id(spark):
     items = [(1, prose(30, 71)), (1, prose(30, 72)), (None, prose(30, 73)), (None, prose(30, 74)), (2, prose(30, 75))]
     texts = [prose(40, 500 + i) + " " + t for i, (_, t) in enumerate(items)] + [prose(60, 600)]
@@ -376,9 +405,61 @@ def test_pairs_over_far_ids(spark):
     assert pairs == expected | {frozenset((7, 70000)): 0, frozenset((90000, many[-1])): 0}
 
 
+def test_other_replies(spark, duck):
+    turns = [(4, 0, "user", "hi"), (4, 1, "assistant", "four"), (4, 2, "user", "bye"), (9, 0, "user", "q"), (9, 1, "assistant", "first"), (9, 2, "user", "more"), (9, 3, "assistant", "nine"), (6, 0, "user", "nobody answers"), (7, 0, "assistant", None)]
+    df = spark.createDataFrame(turns, "conv_id long, turn long, role string, text string").withColumn("turns", F.lit("clash")).withColumn("opening", F.lit("clash"))
+    got = {r["chosen_id"]: r for r in chat.format_pairs(chat.other_replies(chat.gather(df))).collect()}
+    assert {k: (r["rejected_id"], r["n_prompt"]) for k, r in got.items()} == {4: (7, 1), 7: (9, 0), 9: (4, 3)}
+    assert got[9]["prompt"].endswith("<|user|>\nmore\n<|end|>\n") and "nine" in got[9]["chosen_completion"] and "four" in got[9]["rejected_completion"]
+    assert chat.format_pairs(chat.other_replies(chat.gather(df.limit(0)))).count() == 0
+    own = queries.queries()["preference_other_replies"](spark, SF)
+    assert own.where("n_prompt > 0 AND prompt != ''").count() >= 0.9 * own.count() > 0
+    same_rows(own, duck.execute(queries.oracle_sql()["preference_other_replies"]).df())
+
+
+def test_long_and_repeated_turns(spark):
+    rows = [(1, 0, "user", "q"), (1, 1, "assistant", "x" * 300_000), (2, 0, "user", "q"), (2, 1, "assistant", "y"), (2, 1, "assistant", "y")]
+    got = chat.format_pairs(chat.pair_up(chat.gather(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")))).first()
+    assert (got["chosen_id"], got["rejected_id"], got["n_prompt"]) == (1, 2, 1)
+    assert len(got["chosen_completion"]) > 300_000 and got["rejected_completion"].count("y\n") == 2
+
+
 # --- language ---
 
 
+def test_conflicting_evidence_decides_short_texts(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    model = language.fit(docs, F.col("lang"))
+    words = [w for w in docs.where("lang = 'de'").orderBy("doc_id").first()["text"].split() if w.isalpha() and 4 <= len(w) <= 6]
+    rows = [(i, w, said, url) for i, w in enumerate(words[:60]) for said, url in ((None, None), ("fr", "http://a.example.fr/fr/1"))]
+    df = spark.createDataFrame([(2 * i + (s is not None), *r) for i, *r in rows for s in r[1:2]], "doc_id long, text string, said string, url string")
+    alone = {r["doc_id"]: r["lang_pred"] for r in language.identify(df, model).collect()}
+    fused = {r["doc_id"]: r["lang_pred"] for r in language.identify(df, model, declared=F.col("said"), suffix=language.address_language(F.col("url"))).collect()}
+    without_suffix = {r["doc_id"]: r["lang_pred"] for r in language.identify(df, model, declared=F.col("said")).collect()}
+    assert all(alone[k] == alone[k + 1] for k in range(0, 2 * len(words[:60]), 2))
+    changed = [k for k in alone if alone[k] != fused[k]]
+    assert changed and all(k % 2 == 1 and fused[k] == "fr" for k in changed)
+    assert len(changed) > sum(alone[k] != without_suffix[k] for k in alone)
+
+
+def test_host_prior_is_smoothed_over_its_domain(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    model = language.fit(docs, F.col("lang"))
+    texts = [r["text"] for r in docs.where("lang = 'es'").orderBy("doc_id").limit(30).collect()]
+    rows = [(i, t, f"h{i}.ejemplo.es") for i, t in enumerate(texts)] + [(100, "onaen", "new.ejemplo.es"), (101, "onaen", "new.elsewhere.net")]
+    scores = language.score(spark.createDataFrame(rows, "doc_id long, text string, host string"), model, {"doc_id": F.col("doc_id")} | language._inputs(None, None, None, F.col("host")))
+    priors = {r["_host"]: r for r in language.host_priors(language.host_sums(scores, model["langs"]), model["langs"]).collect()}
+    es = f"h_{model['langs'].index('es')}"
+    assert priors["new.ejemplo.es"][es] > priors["new.elsewhere.net"][es]
+
+
+def test_pages_language(spark):
+    got = queries.queries()["pages_language"](spark, SF).toPandas()
+    pages = spark.read.parquet(f"{SF}/pages.parquet").select("page_id", language.markup_language(F.col("html")).alias("m")).toPandas()
+    both = got.merge(pages, on="page_id")
+    assert len(got) == len(pages) and (both.lang_pred == both.m).mean() > 0.9
+
+
 def test_language_held_out(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     even, odd = docs.where("doc_id % 2 = 0"), docs.where("doc_id % 2 = 1")

@@ -58,3 +58,12 @@ def test_odd_and_empty_documents(spark):
         assert stage(spark, empty, SF).count() == 0
         stage(spark, df, SF).count()
     assert corpus_pipeline.benchmark_decontamination(spark, df, SF).count() == len(ODD)
+
+
+def test_columns_named_like_the_stages_own(spark):
+    rows = [(1, "a b c d e f g", "en", "s"), (1, "a b c d e f g", "en", "s"), (2, "p q r s t u v", "en", "s")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").withColumn("_row", F.lit("kept")).withColumn("_gone", F.lit("too")).withColumn("_c0", F.lit("and this"))
+    for stage in (corpus_pipeline.near_duplicates, corpus_pipeline.benchmark_decontamination):
+        got = stage(spark, df, SF).toPandas()
+        assert list(got.columns) == df.columns and set(got._row) == {"kept"} and set(got._gone) == {"too"}
+    assert corpus_pipeline.language_id(spark, df, SF).columns == df.columns == corpus_pipeline.quality_rules(spark, df, SF).columns
