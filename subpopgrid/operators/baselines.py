@@ -18,11 +18,14 @@ def exact_lists(df: DataFrame, spec: WorkloadSpec) -> DataFrame:
     Kept as the comparison it is: its memory grows with the largest subpopulation. ``ground_truth`` is the good form.
     """
     lists = fan_out(df, spec).groupBy("subpop_key").agg(F.sort_array(F.collect_list("m")).alias("v"))
-    # run lengths of the sorted list are the frequencies
-    counts = F.expr("map_values(aggregate(v, cast(map() as map<bigint,bigint>), (a, x) -> map_concat(map_filter(a, (k, y) -> k != x), map(x, coalesce(a[x], 0L) + 1L))))")
-    fs = lists.withColumn("fs", counts)
-    total = lambda e: F.expr(f"aggregate(fs, {e[0]}, (a, f) -> a + {e[1]})")
-    out = fs.select("subpop_key", total(("0L", "f")).alias("l1"), total(("0L", "f * f")).alias("l2"), F.size("fs").cast("long").alias("card"), total(("0D", "f * ln(cast(f as double))")).alias("flogf"))
+    # one pass over the sorted list: run lengths are the frequencies, and each run that ends adds to the sums
+    run = "named_struct('x', {x}, 'n', {n}, 'l2', {l2}, 'card', {card}, 'fl', {fl})"
+    ended = {"l2": "a.l2 + a.n * a.n", "card": "a.card + IF(a.n > 0, 1L, 0L)", "fl": "a.fl + IF(a.n > 0, a.n * ln(CAST(a.n AS DOUBLE)), 0D)"}
+    held = {k: f"a.{k}" for k in ended}
+    start = run.format(x="CAST(NULL AS BIGINT)", n="0L", l2="0L", card="0L", fl="0D")
+    step = f"IF(a.x <=> x AND a.n > 0, {run.format(x='x', n='a.n + 1L', **held)}, {run.format(x='x', n='1L', **ended)})"
+    sums = lists.withColumn("s", F.expr(f"aggregate(v, {start}, (a, x) -> {step}, a -> {run.format(x='a.x', n='0L', **ended)})"))
+    out = sums.select("subpop_key", F.size("v").cast("long").alias("l1"), F.col("s.l2").alias("l2"), F.col("s.card").alias("card"), F.col("s.fl").alias("flogf"))
     return out.withColumn("entropy", entropy(F.col("l1"), F.col("flogf"))).drop("flogf")
 
 

@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import HEX, hash_plan
 from ..schema import SEPARATOR, GridConfig, WorkloadSpec
+from ..sources.tables import scratch
 from . import universal as U
 from .fanout import weight_of
 from .grid import GridState
@@ -29,6 +30,11 @@ from .merge import add_counters, tree_merge
 SCHEMA = "part int, kind string, grid_row int, grid_col int, layer int, cs_row int, cs_col int, c long, subpop_key string, m long, f long, depth int"
 
 
+#: A task holds all counters of a grid of at most so many bytes; those of a larger grid it holds as they are touched.
+DENSE_BYTES = 256 << 20
+ENTRY = (("cell", np.int64), ("pair", np.uint64), ("sub", np.uint64), ("m", np.int64), ("f", np.int64), ("depth", np.int64))
+
+
 def _mix(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
@@ -55,8 +61,14 @@ class _Builder:
         self.reset()
 
     def reset(self) -> None:
+        cfg = self.cfg
+        size = cfg.r * cfg.w * cfg.layers * cfg.r_cs * cfg.w_cs
+        #: All counters of the grid where they are few enough, else the touched ones as (places, sums).
+        self.dense = np.zeros(size, np.int64) if self.counted and 8 * size <= DENSE_BYTES else None
         self.counters: tuple[np.ndarray, np.ndarray] = (np.empty(0, np.int64), np.empty(0, np.int64))
-        self.entries = {k: np.empty(0, t) for k, t in (("cell", np.int64), ("pair", np.uint64), ("sub", np.uint64), ("m", np.int64), ("f", np.int64), ("depth", np.int64))}
+        self.entries = {k: np.empty(0, t) for k, t in ENTRY}
+        self.fresh: list[dict] = []  # candidates since the last cut, with the cuboid and row that name them
+        self.n_fresh = 0
         self.names: dict[int, str] = {}
 
     def add(self, frame) -> None:
@@ -91,26 +103,30 @@ class _Builder:
             c, values = pd.factorize(frame[d].map(_text), sort=False)
             codes[d], texts[d] = c, list(values)
             hashes[d] = np.array([xxhash.xxh64_intdigest(t.encode(), seed=self.cfg.salt) for t in texts[d]], np.uint64)
-        for cuboid in self.spec.sets():
-            gid = self.spec.gid(cuboid)
-            sub = np.full(len(m), _seed(self.cfg.salt, gid), np.uint64)
+        cuboids = self.spec.sets()
+        key = lambda c, i: f"{self.spec.gid(cuboids[c])}|" + SEPARATOR.join(texts[d][codes[d][i]] for d in cuboids[c])
+        for c, cuboid in enumerate(cuboids):
+            sub = np.full(len(m), _seed(self.cfg.salt, self.spec.gid(cuboid)), np.uint64)
             for d in cuboid:
                 sub = _mix(sub * np.uint64(0x9E3779B97F4A7C15) + hashes[d][codes[d]])
             pair = _mix(sub * np.uint64(0xD1B54A32D192ED03) + _mix(m.astype(np.uint64) + np.uint64(0x632BE59BD9B4E019)))
-            order = np.argsort(pair, kind="stable")
+            order = np.argsort(pair)
             first = np.flatnonzero(np.r_[True, pair[order][1:] != pair[order][:-1]])
             at, f = order[first], np.add.reduceat(w[order], first)
-            key = lambda i, c=cuboid, g=gid: f"{g}|" + SEPARATOR.join(texts[d][codes[d][i]] for d in c)
-            self.to_cells(sub[at], pair[at], m[at], f, at, key)
+            self.to_cells(sub[at], pair[at], m[at], f, at, c, key)
+            if self.n_fresh > self.max_entries:
+                self.settle(key)
+        self.settle(key)
 
-    def fields(self, sub, pair, m, at, key) -> list[tuple[np.ndarray, np.ndarray]]:
+    def fields(self, sub, pair, m, at, c, key) -> list[tuple[np.ndarray, np.ndarray]]:
         """(grid column, bit fields) of every grid row."""
         cfg, plan = self.cfg, self.plan
         rows = [0 if cfg.row_bits == "shared" else i for i in range(cfg.r)]
         if cfg.hash_fn != "md5":
-            return [((_mix(sub + _seed("col", i)) % np.uint64(cfg.w)).astype(np.int64), (_mix(pair + _seed("x", k)) >> np.uint64(4)).astype(np.int64)) for i, k in enumerate(rows)]
+            many = cfg.hash_mode == "many"
+            return [((_mix(sub + _seed("col", i)) % np.uint64(cfg.w)).astype(np.int64), self.separate(pair, k) if many else (_mix(pair + _seed("x", k)) >> np.uint64(4)).astype(np.int64)) for i, k in enumerate(rows)]
         md5 = lambda t: hashlib.md5(t.encode()).hexdigest()
-        names, d, out = [key(i) for i in at], plan["col_digits"], []
+        names, d, out = [key(c, i) for i in at], plan["col_digits"], []
         cols = [md5(f"s{cfg.salt}|{n}") for n in names]
         full = [f"{n}{SEPARATOR}{v}" if cfg.key_mode == "pair" else str(v) for n, v in zip(names, m, strict=True)]
         once = [md5(f"p{cfg.salt}|{t}") for t in full] if plan["one"] else None
@@ -123,43 +139,61 @@ class _Builder:
             out.append((col, np.array(x, np.int64)))
         return out
 
-    def to_cells(self, sub, pair, m, f, at, key) -> None:
+    def separate(self, pair: np.ndarray, row: int) -> np.ndarray:
+        """A row's bit fields from a hash a use: each sampling bit, bucket and sign has its own."""
+        cfg, x = self.cfg, np.zeros(len(pair), np.int64)
+        uses = [(j, 1) for j in range(cfg.layers - 1)] + [(cfg.layers - 1 + j * (cfg.cs_bits + 1) + o, n) for j in range(cfg.r_cs) for o, n in ((0, cfg.cs_bits), (cfg.cs_bits, 1))]
+        for at, bits in uses:
+            x |= (_mix(pair + _seed("x", row, at)) >> np.uint64(64 - bits)).astype(np.int64) << at
+        return x
+
+    def to_cells(self, sub, pair, m, f, at, c, key) -> None:
         cfg = self.cfg
-        mask, new = (1 << (cfg.layers - 1)) - 1, []
+        mask = (1 << (cfg.layers - 1)) - 1
         if cfg.key_mode == "metric":
             name, ident = np.zeros(len(m), np.uint64), _mix(m.astype(np.uint64))
         else:
             name, ident = sub, pair
-        for row, (col, x) in enumerate(self.fields(sub, pair, m, at, key)):
+        for row, (col, x) in enumerate(self.fields(sub, pair, m, at, c, key)):
             low = x & mask
             depth = np.bitwise_count(low ^ (low + 1)).astype(np.int64) - 1
             for layer in range(cfg.layers if cfg.layer_mode == "nested" else 1):
-                pick = depth >= layer
+                pick = depth >= layer if cfg.layer_mode == "nested" else slice(None)
                 if cfg.layer_mode == "nested" and not pick.any():
                     break
-                level = np.full(int(pick.sum()), layer) if cfg.layer_mode == "nested" else depth
-                cell = (row * cfg.w + col[pick]) * cfg.layers + level
-                new.append({"cell": cell, "pair": ident[pick], "sub": name[pick], "m": m[pick], "f": f[pick], "depth": depth[pick], "at": at[pick]})
+                xs, fs, ds = x[pick], f[pick], depth[pick]
+                cell = (row * cfg.w + col[pick]) * cfg.layers + (layer if cfg.layer_mode == "nested" else ds)
+                self.fresh.append({"cell": cell, "pair": ident[pick], "sub": name[pick], "m": m[pick], "f": fs, "depth": ds, "at": at[pick], "cuboid": np.full(len(cell), c, np.int32)})
+                self.n_fresh += len(cell)
                 if self.counted:
                     for j in range(cfg.r_cs):
                         start = cfg.layers - 1 + j * (cfg.cs_bits + 1)
-                        slot = (cell * cfg.r_cs + j) * cfg.w_cs + (x[pick] >> start & (cfg.w_cs - 1))
-                        self.count(slot, f[pick] * ((x[pick] >> (start + cfg.cs_bits) & 1) * 2 - 1))
-        fresh = {k: np.concatenate([p[k] for p in new]) for k in new[0]}
-        rows = fresh.pop("at")
-        both = {k: np.concatenate([self.entries[k], fresh[k]]) for k in self.entries}
-        kept, first = self.cut(both)
+                        slot = (cell * cfg.r_cs + j) * cfg.w_cs + (xs >> start & (cfg.w_cs - 1))
+                        self.count(slot, fs * ((xs >> (start + cfg.cs_bits) & 1) * 2 - 1))
+
+    def settle(self, key) -> None:
+        """The candidates since the last cut join the kept ones; new survivors get their texts while their rows are at hand."""
+        if not self.fresh:
+            return
         n = len(self.entries["cell"])
-        self.entries = kept
-        if cfg.key_mode == "pair":  # texts only of what is kept
-            for s, i in zip(both["sub"][first], first, strict=True):
-                if i >= n and int(s) not in self.names:
-                    self.names[int(s)] = key(rows[i - n])
+        both = {k: np.concatenate([self.entries[k], *(p[k] for p in self.fresh)]) for k, _ in ENTRY}
+        at, cuboid = (np.concatenate([p[k] for p in self.fresh]) for k in ("at", "cuboid"))
+        self.fresh, self.n_fresh = [], 0
+        self.entries, first = self.cut(both)
+        if self.cfg.key_mode == "pair":
+            came = first[first >= n] - n
+            subs, one = np.unique(both["sub"][came + n], return_index=True)
+            for s, i in zip(subs.tolist(), came[one].tolist(), strict=True):
+                if s not in self.names:
+                    self.names[s] = key(cuboid[i], at[i])
             if len(self.names) > 4 * self.max_entries:
-                alive = set(kept["sub"].tolist())
+                alive = set(self.entries["sub"].tolist())
                 self.names = {s: t for s, t in self.names.items() if s in alive}
 
     def count(self, slot, value) -> None:
+        if self.dense is not None:
+            np.add.at(self.dense, slot, value)
+            return
         slots, inverse = np.unique(np.concatenate([self.counters[0], slot]), return_inverse=True)
         sums = np.zeros(len(slots), np.int64)
         np.add.at(sums, inverse, np.concatenate([self.counters[1], value]))
@@ -188,6 +222,9 @@ class _Builder:
     def emit(self):
         """The task's rows so far, as columns; then empty."""
         cfg, (slots, sums) = self.cfg, self.counters
+        if self.dense is not None:
+            slots = np.flatnonzero(self.dense)
+            sums = self.dense[slots]
         live = sums != 0
         slots, sums = slots[live], sums[live]
         cell = slots // (cfg.r_cs * cfg.w_cs)
@@ -232,6 +269,10 @@ def build_parts(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig, max_entries:
 def build_bounded(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig, **limits) -> GridState:
     """Task grids merged by sums: the scalable build. Heap values are the tasks' tracked counts."""
     parts = build_parts(df, spec, cfg, **limits)
+    if cfg.merge_mode != "heap_only":  # heaps and counters are both read: records are scanned once, for a stored table
+        path = scratch(df.sparkSession, "grid-parts")
+        parts.write.parquet(path)
+        parts = df.sparkSession.read.schema(SCHEMA).parquet(path)
     heaps = parts.where("kind = 'h'").select("part", *U.CELL, "layer", "subpop_key", "m", "f", "depth")
     counters = parts.where("kind = 'c'").select(*U.CELL, "layer", "cs_row", "cs_col", "c")
     return tree_merge(heaps, None if cfg.merge_mode == "heap_only" else counters, GridState(spec, cfg, heaps))

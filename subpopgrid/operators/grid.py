@@ -14,9 +14,6 @@ from ..schema import GridConfig, WorkloadSpec
 from . import universal as U
 from .fanout import pair_counts
 
-#: Subpopulations asked at once below which their cells are sent to the heaps rather than shuffled with them.
-BROADCAST_SUBPOPS = 100_000
-
 
 @dataclass
 class GridState:

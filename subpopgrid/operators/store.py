@@ -23,7 +23,7 @@ def save(state: GridState, path: str, part: str = "0") -> None:
     spark.createDataFrame([(cid, json.dumps(manifest))], "config_id string, manifest string").coalesce(1).write.mode("overwrite").json(f"{path}/manifest/config_id={cid}")
     for name, df in (("heaps", state.heaps), ("counters", state.counters)):
         if df is not None:
-            lined = df.repartition("grid_row").sortWithinPartitions("grid_row", "grid_col")
+            lined = df.repartitionByRange("grid_row", "grid_col").sortWithinPartitions("grid_row", "grid_col")
             lined.write.mode("overwrite").partitionBy("grid_row").parquet(f"{path}/{name}/config_id={cid}/part={part}")
 
 
@@ -45,6 +45,9 @@ def append(state: GridState, path: str, part: str) -> None:
 
 
 def compact(spark: SparkSession, path: str, spec: WorkloadSpec, cfg: GridConfig, frozen: bool) -> GridState:
-    """All parts as one state."""
-    states = load(spark, path, spec, cfg, frozen)
-    return merge_heaps(*states) if frozen else merge_full(*states)
+    """All parts as one state: read once and grouped, however many parts there are."""
+    heaps = _read(spark, path, "heaps", HEAPS).where(F.col("config_id") == cfg.config_id).drop("part", "config_id")
+    if frozen:
+        return merge_heaps(GridState(spec, cfg, heaps))
+    counters = _read(spark, path, "counters", COUNTERS).where(F.col("config_id") == cfg.config_id).drop("part", "config_id")
+    return merge_full(GridState(spec, cfg, heaps, counters))
