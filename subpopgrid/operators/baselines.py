@@ -86,24 +86,34 @@ def uniform_sample(df: DataFrame, id_text: Column, one_in: int) -> DataFrame:
 
 def sample_stats(sample: DataFrame, spec: WorkloadSpec, one_in: int, with_entropy: bool = True) -> DataFrame:
     """L1 times 1/p; L2 corrected to be unbiased, (sum f^2 - (1-p) sum f) / p^2; cardinality and entropy as they stand."""
-    p = 1.0 / one_in
-    s = truth(pair_counts(sample, spec), ["subpop_key"])
-    out = s.select("subpop_key", (F.col("l1") * one_in).alias("l1"), ((F.col("l2") - (1 - p) * F.col("l1")) / (p * p)).alias("l2"), "card", (F.col("card") * one_in).alias("card_scaled"), "entropy")
+    out = scaled(truth(pair_counts(sample, spec), ["subpop_key"]), one_in)
     return out if with_entropy else out.drop("entropy")
 
 
-def sketch_per_subpop(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig) -> DataFrame:
-    """One universal sketch for every subpopulation: exact separation, state that grows with their number."""
+def scaled(s: DataFrame, one_in: int) -> DataFrame:
+    """A uniform sample's statistics as those of all records."""
+    p = 1.0 / one_in
+    return s.select("subpop_key", (F.col("l1") * one_in).alias("l1"), ((F.col("l2") - (1 - p) * F.col("l1")) / (p * p)).alias("l2"), "card", (F.col("card") * one_in).alias("card_scaled"), "entropy")
+
+
+def sketches_build(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig) -> DataFrame:
+    """Heaps of one universal sketch for every subpopulation: exact separation, state that grows with their number."""
+    one = cfg.but(r=1)
+    pairs = pair_counts(df, spec).select("subpop_key", "m", "f").withColumn("grid_row", F.lit(0)).withColumn("grid_col", hash_slice(F.col("subpop_key")))
+    cells = add_fields(pairs, one).select(*U.CELL, "subpop_key", "m", "f", "x", "depth")
+    return U.heaps(cells, U.counters(cells, one) if one.heap_value == "estimate" else None, one)
+
+
+def sketches_query(heap: DataFrame, cfg: GridConfig) -> DataFrame:
     one = cfg.but(r=1)
-    pairs = pair_counts(df, spec).select("subpop_key", "m", "f")
-    named = pairs.select("subpop_key").distinct().withColumn("_c", hash_slice(F.col("subpop_key")))
-    cells = add_fields(pairs.join(named, "subpop_key").withColumn("grid_row", F.lit(0)).withColumn("grid_col", F.col("_c")), one)
-    cells = cells.select(*U.CELL, "subpop_key", "m", "f", "x", "depth")
-    heap = U.heaps(cells, U.counters(cells, one) if one.heap_value == "estimate" else None, one)
     sums = U.gsums(U.nested_view(heap, one), one, {"l1": F.col("f"), "l2": F.col("f") * F.col("f"), "card": F.lit(1).cast("long"), "flogf": F.col("f") * F.log(F.col("f").cast("double"))}, ["subpop_key"])
     return sums.withColumn("entropy", entropy(F.col("l1"), F.col("flogf"), F.col("card"))).drop("flogf")
 
 
+def sketch_per_subpop(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig) -> DataFrame:
+    return sketches_query(sketches_build(df, spec, cfg), cfg)
+
+
 def stat_sketch_per_subpop(df: DataFrame, spec: WorkloadSpec) -> DataFrame:
     """A cardinality sketch for every subpopulation."""
     return fan_out(df, spec).groupBy("subpop_key").agg(F.hll_sketch_estimate(F.hll_sketch_agg("m", 12)).alias("card"))
@@ -117,6 +127,29 @@ def grid_of_hll(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig) -> DataFrame
     return keyed.groupBy(*U.CELL).agg(F.hll_sketch_estimate(F.hll_sketch_agg(F.concat_ws("|", "subpop_key", F.col("m").cast("string")), 12)).alias("card"))
 
 
+def hll_grid_estimates(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig) -> DataFrame:
+    """(subpop_key, card): a subpopulation's cardinality from a grid of cardinality sketches of pairs.
+
+    A cell counts the pairs of all subpopulations in it, so no estimate is too small but for the sketch's own error: the
+    least over the rows is taken.
+    """
+    from ..functions.hashing import add_cells
+
+    keys = pair_counts(df, spec).select("subpop_key").distinct()
+    return add_cells(keys, cfg).join(grid_of_hll(df, spec, cfg), list(U.CELL)).groupBy("subpop_key").agg(F.min("card").alias("card"))
+
+
+def countmin_points(pairs: DataFrame, cfg: GridConfig) -> DataFrame:
+    """(subpop_key, m, f): every pair's frequency from a grid of unsigned counters, the least over grid and sketch rows."""
+    from ..functions.hashing import bucket
+
+    cells = U.to_cells(pairs, cfg)
+    probes = F.array(*(bucket(F.col("x"), j, cfg) for j in range(cfg.r_cs)))
+    rows = cells.select(*U.CELL, "subpop_key", "m", "f", F.posexplode(probes).alias("j", "cs_col"))
+    sums = rows.groupBy(*U.CELL, "j", "cs_col").agg(F.sum("f").alias("c"))
+    return rows.join(sums, [*U.CELL, "j", "cs_col"]).groupBy("subpop_key", "m").agg(F.min("c").alias("f"))
+
+
 def grid_of_countmin(df: DataFrame, spec: WorkloadSpec, cfg: GridConfig, eps: float = 0.01, confidence: float = 0.95, seed: int = 1) -> DataFrame:
     """A grid whose cells hold a count-min sketch of their pairs (one row a record and cell): (grid_row, grid_col, bytes)."""
     from ..functions.hashing import add_cells

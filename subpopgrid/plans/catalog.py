@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import comparisons, methods, relational, streams  # noqa: F401  each registers its queries
+from . import comparisons, methods, relational, streams, wider  # noqa: F401  each registers its queries
 from .registry import QUERIES, SQL
 
 __all__ = ["QUERIES", "SQL"]

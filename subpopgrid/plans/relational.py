@@ -50,9 +50,16 @@ def _text(spark, sf_dir):
     return spark.read.text(path).agg(F.count(F.lit(1)).alias("n"), F.sum(F.length("value")).alias("chars"))
 
 
+#: Bytes of a build's input split.
+SPLIT_BYTES = 64 << 20
+
+
 @query("op_scan_splits", "splits:l rows:l")
 def _splits(spark, sf_dir):
-    df = load(spark, sf_dir, "lineitem").select(F.spark_partition_id().alias("p"))
+    """A scan in splits of 64 MB; the setting is that of a session of its own."""
+    own = spark.newSession()
+    own.conf.set("spark.sql.files.maxPartitionBytes", str(SPLIT_BYTES))
+    df = load(own, sf_dir, "lineitem").select(F.spark_partition_id().alias("p"))
     return df.agg(F.count_distinct("p").alias("splits"), F.count(F.lit(1)).alias("rows"))
 
 

@@ -6,6 +6,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.hashing import canonical_key
 from ..operators import grid
 from ..operators import universal as U
 from ..schema import TINY, WorkloadSpec
@@ -20,7 +21,6 @@ _CFG = TINY.but(heap_value="tracked", k=100)
 
 def _stream(spark, sf_dir) -> DataFrame:
     """Events with a metric. Times have no zone in the files; they are read in UTC, as the watermark asks for a zone."""
-    spark.conf.set("spark.sql.session.timeZone", "UTC")
     return SW.event_stream(spark, f"{sf_dir}/events.parquet").withColumn("m", F.floor(F.col("value") / 10).cast("long"))
 
 
@@ -33,7 +33,7 @@ def _windowed(alias: str = "w") -> str:
 
 
 def _text():
-    return F.date_format("win", "yyyy-MM-dd HH:mm:ss").alias("win")
+    return SW.utc_text("win").alias("win")
 
 
 def _pairs_sql(seconds: int) -> str:
@@ -82,7 +82,7 @@ def _w14(spark, sf_dir):
     pairs = SW.merge_into_store(_stream(spark, sf_dir), _SPEC, _DAY, scratch(spark, "w14"))
     one = _CFG.but(r=1, w=1, k=100_000)
     cells = SW.window_cells(pairs.where("gid = 0").select("win", "subpop_key", "m", "f"), one)
-    keyed = cells.withColumn("subpop_key", F.concat(F.date_format("win", "yyyy-MM-dd HH:mm:ss"), F.lit("|"), "subpop_key"))
+    keyed = cells.withColumn("subpop_key", F.concat(SW.utc_text("win"), F.lit("|"), "subpop_key"))
     heap = keyed.select(*U.CELL, "layer", "subpop_key", "m", "f", "depth")
     est = grid.estimate(grid.GridState(_SPEC, one, heap))
     return est.select(F.split("subpop_key", r"\|")[0].alias("win"), F.split("subpop_key", r"\|")[2].alias("event_type"), "l1", "l2", "card", "entropy")
@@ -135,28 +135,42 @@ def _late(spark, sf_dir):
     return SW.drain(out, "append", scratch(spark, "late")).select(_text(), "event_type", "n")
 
 
-@query("stream_stateful_heap", "event_type:s m:l f:l")
-def _stateful(spark, sf_dir):
-    """A bounded heap a key as custom state: counts add, the ten largest stay."""
+def stateful_heaps(stream: DataFrame, spec: WorkloadSpec, cfg, folder: str) -> DataFrame:
+    """The heaps of a grid over a stream as custom state: one bounded heap a (cell, layer), which batches add to.
+
+    A batch gives out whole heaps of the cells it touched; a cell's latest batch stands.
+    """
+    gids = F.array(*(F.lit(spec.gid(c)).cast("long") for c in spec.sets()))
+    keyed = stream.select(*spec.dims, "m", F.explode(gids).alias("gid")).withColumn("subpop_key", canonical_key(spec)).withColumn("f", F.lit(1).cast("long"))
+    cells = SW.window_cells(keyed.select("subpop_key", "m", "f"), cfg.but(layer_mode="deepest"))
 
     def keep(key, frames, state):
-        held = dict(zip(*state.get, strict=True)) if state.exists else {}
+        held = {(s, m): (n, d) for s, m, n, d in zip(*state.get, strict=True)} if state.exists else {}
         for f in frames:
-            for m, n in f["m"].value_counts().items():
-                held[int(m)] = held.get(int(m), 0) + int(n)
-        top = sorted(held.items(), key=lambda x: (-x[1], x[0]))[:10]
-        state.update(([m for m, _ in top], [n for _, n in top]))
-        yield pd.DataFrame({"event_type": [key[0]] * len(top), "m": [m for m, _ in top], "f": [n for _, n in top]})
+            for (s, m, d), n in f.groupby(["subpop_key", "m", "depth"])["f"].sum().items():
+                held[s, int(m)] = held.get((s, int(m)), (0, d))[0] + int(n), int(d)
+        top = sorted(((s, m, n, d) for (s, m), (n, d) in held.items()), key=lambda x: (-x[2], x[0], x[1]))[: cfg.k]
+        columns = [list(c) for c in zip(*top, strict=True)]
+        state.update(tuple(columns))
+        yield pd.DataFrame({"grid_row": key[0], "grid_col": key[1], "layer": key[2], "subpop_key": columns[0], "m": columns[1], "f": columns[2], "depth": columns[3]})
 
-    out = _stream(spark, sf_dir).select("event_type", "m").groupBy("event_type").applyInPandasWithState(keep, "event_type string, m long, f long", "ms array<long>, ns array<long>", "update", "NoTimeout")
-    folder = scratch(spark, "stateful")
+    heap = "grid_row int, grid_col int, layer int, subpop_key string, m long, f long, depth int"
+    out = cells.groupBy("grid_row", "grid_col", "layer").applyInPandasWithState(keep, heap, "subpops array<string>, ms array<long>, fs array<long>, depths array<int>", "update", "NoTimeout")
 
     def save(batch: DataFrame, n: int) -> None:
         batch.write.mode("overwrite").parquet(f"{folder}/out/batch={n}")
 
     q = out.writeStream.outputMode("update").foreachBatch(save).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.read.schema("event_type string, m long, f long").parquet(f"{folder}/out/batch=*")
+    rows = stream.sparkSession.read.schema(heap + ", batch long").parquet(f"{folder}/out")
+    last = rows.groupBy("grid_row", "grid_col", "layer").agg(F.max("batch").alias("batch"))
+    return rows.join(last, ["grid_row", "grid_col", "layer", "batch"]).drop("batch")
+
+
+@query("stream_stateful_heap", "grid_row:l grid_col:l layer:l subpop_key:s m:l f:l")
+def _stateful(spark, sf_dir):
+    """A bounded heap a cell and layer as custom state: counts add, the k largest stay."""
+    return stateful_heaps(_stream(spark, sf_dir), _SPEC, _CFG, scratch(spark, "stateful"))
 
 
 @query("stream_rate_source", "n:l")

@@ -16,7 +16,27 @@ def event_stream(spark: SparkSession, path: str) -> DataFrame:
     """``events`` as a stream of files; the time becomes a zoned timestamp, which watermarks ask for."""
     folder, _, name = path.rpartition("/")
     stream = spark.readStream.schema(EVENTS).option("pathGlobFilter", name).parquet(folder)
-    return stream.withColumn("ts", F.col("ts").cast("timestamp"))
+    return stream.withColumn("ts", F.expr("timestamp_micros(timestampdiff(MICROSECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', ts))"))
+
+
+def utc_text(column: str) -> Column:
+    """The wall clock in UTC as text, to the second, whatever the session's time zone."""
+    return F.expr(f"substring(CAST(timestampadd(MICROSECOND, unix_micros({column}), TIMESTAMP_NTZ'1970-01-01 00:00:00') AS STRING), 1, 19)")
+
+
+def window_estimates(pairs: DataFrame, cfg: GridConfig) -> DataFrame:
+    """(win, subpop_key, found_rows, l1, l2, card): every window has a grid of its own, its heaps cut to k (tracked values)."""
+    from pyspark.sql import Window as W
+
+    line = W.partitionBy("win", *U.CELL, "layer").orderBy(F.desc("f"), "subpop_key", "m")
+    cut = lambda rows: rows.withColumn("_n", F.row_number().over(line)).where(F.col("_n") <= cfg.k).drop("_n")
+    heaps = cut(window_cells(pairs, cfg.but(layer_mode="deepest")).select("win", *U.CELL, "layer", "subpop_key", "m", "f", "depth"))
+    nested = cut(heaps.drop("layer").withColumn("layer", F.explode(F.sequence(F.lit(0), F.col("depth"))))).withColumn("_w", U.entry_weight(cfg))
+    gs = {"l1": F.col("f"), "l2": F.col("f") * F.col("f"), "card": F.lit(1).cast("long")}
+    rows = nested.groupBy("win", "subpop_key", "grid_row").agg(*(F.sum(F.col("_w") * g).alias(n) for n, g in gs.items()))
+    missing = F.expr(f"{cfg.r} - count(1)").cast("int")
+    med = [F.sort_array(F.concat(F.collect_list(F.col(n).cast("double")), F.array_repeat(F.lit(0.0), missing)))[cfg.r // 2].alias(n) for n in gs]
+    return rows.groupBy("win", "subpop_key").agg(F.count(F.lit(1)).cast("int").alias("found_rows"), *med)
 
 
 def drain(df: DataFrame, mode: str, folder: str) -> DataFrame:

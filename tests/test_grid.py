@@ -281,3 +281,63 @@ def test_sample_correction_is_unbiased(spark):
         kept = B.uniform_sample(df, F.concat(F.lit(f"{k}."), F.col("i").cast("string")), 4)
         got.append(B.sample_stats(kept, ONE, 4).where("subpop_key = '0|x'").first())
     assert abs(sum(r["l1"] for r in got) / 10 / 4000 - 1) < 0.05 and abs(sum(r["l2"] for r in got) / 10 / (20 * 200**2) - 1) < 0.08
+
+
+def test_stateful_heaps_over_several_batches(spark, tmp_path):
+    from subpopgrid.plans.streams import stateful_heaps
+    from subpopgrid.streaming import windows as SW
+
+    spec, cfg = WorkloadSpec(dims=("event_type",)), TINY.but(heap_value="tracked", k=1000)
+    rows = spark.read.parquet(f"{SF}/events.parquet")
+    for i in range(3):
+        rows.where(F.col("event_id") % 3 == i).coalesce(1).write.mode("append").parquet(f"file://{tmp_path}/events")
+    stream = spark.readStream.schema(SW.EVENTS).option("maxFilesPerTrigger", 1).parquet(f"file://{tmp_path}/events").withColumn("m", F.floor(F.col("value") / 10).cast("long"))
+    got = stateful_heaps(stream, spec, cfg, f"file://{tmp_path}/work")
+    batch = grid.build_grid(rows.withColumn("m", F.floor(F.col("value") / 10).cast("long")), spec, cfg).heaps
+    assert batch.count() > 100 and got.exceptAll(batch.select(*got.columns)).count() == 0 == batch.select(*got.columns).exceptAll(got).count()
+
+
+def test_windows_of_wide_heaps_give_the_truth(spark):
+    from subpopgrid.streaming import windows as SW
+
+    pairs = spark.createDataFrame([("a", "0|x", 1, 3), ("a", "0|x", 2, 1), ("b", "0|x", 1, 5), ("b", "1|", 7, 2)], "win string, subpop_key string, m long, f long")
+    got = {(r["win"], r["subpop_key"]): (r["l1"], r["l2"], r["card"]) for r in SW.window_estimates(pairs, TINY.but(heap_value="tracked")).collect()}
+    assert got == {("a", "0|x"): (4, 10, 2), ("b", "0|x"): (5, 25, 1), ("b", "1|"): (2, 4, 1)}
+
+
+def test_least_counters_never_fall_short(spark):
+    df, s = view(spark, SF, "docs"), spec_of("docs", max_order=2)
+    pairs = fanout.pair_counts(df, s).select("subpop_key", "m", "f")
+    both = B.countmin_points(pairs, TINY.but(layers=1, w_cs=16)).withColumnRenamed("f", "est").join(pairs, ["subpop_key", "m"])
+    assert both.count() == pairs.count() and both.where("est < f").count() == 0 < both.where("est > f").count()
+    hll = B.hll_grid_estimates(df, s, TINY.but(w=512, hash_fn="xxhash64")).join(B.ground_truth(df, s).select("subpop_key", F.col("card").alias("t")), "subpop_key")
+    assert hll.where("card >= 0.9 * t").count() == hll.count() > 0
+
+
+def test_hash_a_use_and_dense_counters_change_no_truth(spark, monkeypatch):
+    df, s = view(spark, SF, "video"), spec_of("video", max_order=1)
+    wide = GridConfig(w=8, layers=4, w_cs=64, k=100_000, heap_value="tracked")
+    true = {r["subpop_key"]: (r["l1"], r["card"]) for r in B.ground_truth(df, s).collect()}
+    for changes in ({"hash_mode": "many"}, {"layer_mode": "nested"}, {"merge_mode": "full"}):
+        est = grid.estimate(bounded.build_bounded(df, s, wide.but(**changes)))
+        assert {r["subpop_key"]: (r["l1"], r["card"]) for r in est.collect()} == true
+
+
+def test_compaction_reads_all_parts_at_once(spark, tmp_path):
+    df, s, cfg = view(spark, SF, "docs"), spec_of("docs", max_order=1), TINY.but(heap_value="tracked", k=1000, merge_mode="full")
+    path = f"file://{tmp_path}/store"
+    for i in range(3):
+        store.append(grid.build_grid(df.where(F.pmod(F.hash("source"), F.lit(3)) == i), s, cfg), path, str(i))
+    one = grid.build_grid(df, s, cfg)
+    for frozen in (False, True):
+        state = store.compact(spark, path, s, cfg, frozen)
+        key = lambda h: sorted(map(tuple, h.select("grid_row", "grid_col", "layer", "subpop_key", "m", "f", "depth").collect()))
+        assert key(state.heaps) == key(one.heaps)
+
+
+def test_suggested_configuration_is_no_worse_than_the_base(spark):
+    from subpopgrid.plans.catalog import QUERIES
+
+    rows = QUERIES["w_W9_statistics"](spark, SF).toPandas()
+    l1 = rows[rows.stat == "l1"].set_index("point").mean_abs
+    assert set(rows.stat) == {"l1", "l2", "card", "entropy"} and l1["suggested"] <= 0.5 and l1["w=64"] <= l1["w=4"] and l1["k=200"] <= l1["k=10"]
