@@ -28,7 +28,7 @@ from .common import fresh, new_path, with_prefix_sums
 
 OVERHEAD = 16
 #: Bytes of text that a writing task takes, the most such tasks, and the sampled rows that set their bounds.
-TASK_BYTES, MOST_TASKS, SAMPLE_ROWS = 128 << 20, 250_000, 1_000_000
+TASK_BYTES, MOST_TASKS, SAMPLE_ROWS = 32 << 20, 250_000, 1_000_000
 OWN = ("shard", "_old", "_row", "_task")
 
 
