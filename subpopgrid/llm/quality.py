@@ -3,7 +3,9 @@
 A sketch is a table of counts in buckets of known width (exact below 8, then eight buckets a power of two, so a
 value is known within an eighth); sketches of tasks, sources and languages merge by adding counts, which the grouped
 aggregation does. Limits come from a group's median and quartiles; a source with under ``SUPPORT`` documents takes
-those of its language, a language with too few those of the whole table. All arithmetic is in integers, so any engine
+those of its language, a language with too few those of the whole table. ``two_sided`` limits have no floors: the
+quartiles decide in both directions, within half and twice the level above, so that a source that is mostly junk can't
+loosen its own limit far. All arithmetic is in integers, so any engine
 and any partitioning give the same verdicts.
 
 Defined cases: null text counts as empty (no words, base rule fails); null language or source is a group of its own;
@@ -13,8 +15,9 @@ repeated rows are judged each; an empty table gives an empty table; extra column
 from __future__ import annotations
 
 from collections import Counter
+from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -30,6 +33,8 @@ METRICS = {
     "word_length": ("10 * word_chars div n_words", 120),
 }
 SUPPORT, SPREAD, MIN_WORDS = 30, 4, 50
+#: Least spread of a metric where limits are two-sided: half of a group may share one value.
+STEP = {"symbols": 5, "dup_lines": 25, "repeats": 25, "word_length": 5}
 
 
 def measure(text: str | None) -> tuple[int, int, int, int, int, int]:
@@ -79,8 +84,8 @@ def sketches(counts: DataFrame) -> DataFrame:
     return rows.groupBy("lang", "source", "metric", "bucket").agg(F.count(F.lit(1)).alias("n"))
 
 
-def limits(sketch: DataFrame) -> DataFrame:
-    """(level, lang, source, docs, one column a metric): upper limits at the levels source (2), language (1), all (0)."""
+def quartiles(sketch: DataFrame) -> DataFrame:
+    """(level, lang, source, metric, docs, q50, q75) at the levels source (2), language (1), all (0)."""
     key = ("level", "lang", "source")
     none = F.lit(None).cast("string")
     group = lambda level, lang, source: F.struct(F.lit(level).alias("level"), lang.alias("lang"), source.alias("source"))
@@ -88,9 +93,31 @@ def limits(sketch: DataFrame) -> DataFrame:
     merged = sketch.select(levels, "metric", "bucket", "n").groupBy("g.level", "g.lang", "g.source", "metric", "bucket").agg(F.sum("n").alias("n"))
     line = W.partitionBy(*key, "metric").orderBy("bucket")
     ranked = merged.withColumn("upto", F.sum("n").over(line)).withColumn("docs", F.sum("n").over(W.partitionBy(*key, "metric")))
-    at = ranked.groupBy(*key, "metric").agg(F.max("docs").alias("docs"), F.min(F.expr("CASE WHEN 2 * upto >= docs THEN bucket END")).alias("q50"), F.min(F.expr("CASE WHEN 4 * upto >= 3 * docs THEN bucket END")).alias("q75"))
+    return ranked.groupBy(*key, "metric").agg(F.max("docs").alias("docs"), F.min(F.expr("CASE WHEN 2 * upto >= docs THEN bucket END")).alias("q50"), F.min(F.expr("CASE WHEN 4 * upto >= 3 * docs THEN bucket END")).alias("q75"))
+
+
+def _tops(quartile: DataFrame, top: dict[str, Column]) -> DataFrame:
+    return quartile.groupBy("level", "lang", "source").agg(F.max("docs").alias("docs"), *(F.max(F.when(F.col("metric") == k, v)).alias(f"max_{k}") for k, v in top.items()))
+
+
+def limits(sketch: DataFrame) -> DataFrame:
+    """(level, lang, source, docs, one column a metric): upper limits, none below its floor."""
     raw = F.col("q50") + SPREAD * (F.col("q75") - F.col("q50"))
-    return at.groupBy(*key).agg(F.max("docs").alias("docs"), *(F.max(F.when(F.col("metric") == k, F.greatest(raw, F.lit(least)))).alias(f"max_{k}") for k, (_, least) in METRICS.items()))
+    return _tops(quartiles(sketch), {k: F.greatest(raw, F.lit(least)) for k, (_, least) in METRICS.items()})
+
+
+def two_sided(sketch: DataFrame) -> DataFrame:
+    """As ``limits``, without floors; a language lies within half and twice the limit of all, a source of its language's."""
+    raw = staged(_tops(quartiles(sketch), {k: F.col("q75") + SPREAD * F.greatest(F.col("q75") - F.col("q50"), F.lit(step)) for k, step in STEP.items()}), "quality-raw")
+    whole = raw.where("level = 0")
+
+    def within(rows: DataFrame, above: DataFrame, on: Column) -> DataFrame:
+        tops = (F.greatest(F.least(f"r.max_{k}", 2 * F.col(f"u.max_{k}")), F.expr(f"u.max_{k} div 2")).alias(f"max_{k}") for k in STEP)
+        return rows.alias("r").join(above.alias("u"), on).select("r.level", "r.lang", "r.source", "r.docs", *tops)
+
+    by_lang = within(raw.where("level = 1"), whole, F.col("r.level") == F.col("u.level") + 1)
+    by_source = within(raw.where("level = 2"), by_lang, F.col("r.lang").eqNullSafe(F.col("u.lang")))
+    return whole.unionByName(by_lang).unionByName(by_source)
 
 
 def judge(counts: DataFrame, bounds: DataFrame) -> DataFrame:
@@ -109,10 +136,10 @@ def judge(counts: DataFrame, bounds: DataFrame) -> DataFrame:
     return joined.withColumn("base_failed", failed).withColumn("kept", ~F.col("base_failed") & ~F.coalesce(over, F.lit(False)))
 
 
-def quality(docs: DataFrame) -> DataFrame:
-    """doc_id, the base counts, base_failed and kept of every row."""
+def quality(docs: DataFrame, rule: Callable[[DataFrame], DataFrame] = limits) -> DataFrame:
+    """doc_id, the base counts, base_failed and kept of every row; ``rule`` makes limits of sketches."""
     counts = staged(base_counts(merged_scan(docs)), "quality-counts")
-    bounds = staged(limits(sketches(counts)), "quality-limits")
+    bounds = staged(rule(sketches(counts)), "quality-limits")
     return judge(counts, bounds).select("doc_id", *BASE, "base_failed", "kept")
 
 
@@ -129,11 +156,43 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality(spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
 
+def quality_two_sided(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality(spark.read.parquet(f"{sf_dir}/documents.parquet"), two_sided)
+
+
+def _floored_sql() -> str:
+    tops = ", ".join(f"max(CASE WHEN metric = '{k}' THEN greatest(q50 + {SPREAD} * (q75 - q50), {least}) END) AS max_{k}" for k, (_, least) in METRICS.items())
+    return f"""bounds AS (
+  SELECT level, lang, source, max(docs) AS docs, {tops} FROM quantiles GROUP BY ALL
+)"""
+
+
+def _two_sided_sql() -> str:
+    tops = ", ".join(f"max(CASE WHEN metric = '{k}' THEN q75 + {SPREAD} * greatest(q75 - q50, {step}) END) AS max_{k}" for k, step in STEP.items())
+    within = ", ".join(f"greatest(least(r.max_{k}, 2 * u.max_{k}), u.max_{k} // 2) AS max_{k}" for k in STEP)
+    return f"""raws AS (
+  SELECT level, lang, source, max(docs) AS docs, {tops} FROM quantiles GROUP BY ALL
+), langs AS (
+  SELECT r.level, r.lang, r.source, r.docs, {within} FROM raws r JOIN raws u ON u.level = 0 WHERE r.level = 1
+), sources AS (
+  SELECT r.level, r.lang, r.source, r.docs, {within} FROM raws r JOIN langs u ON r.lang IS NOT DISTINCT FROM u.lang WHERE r.level = 2
+), bounds AS (
+  SELECT * FROM raws WHERE level = 0 UNION ALL SELECT * FROM langs UNION ALL SELECT * FROM sources
+)"""
+
+
+def two_sided_sql() -> str:
+    return _verdict_sql(_two_sided_sql())
+
+
 def op6_sql() -> str:
     """The same verdicts in DuckDB SQL."""
+    return _verdict_sql(_floored_sql())
+
+
+def _verdict_sql(bounds: str) -> str:
     word = r"[^\x20\x09-\x0D]+"
     values = " UNION ALL ".join(f"SELECT lang, source, '{k}' AS metric, {e.replace(' div ', ' // ')} AS v FROM counts WHERE n_words > 0" for k, (e, _) in METRICS.items())
-    tops = ", ".join(f"max(CASE WHEN metric = '{k}' THEN greatest(q50 + {SPREAD} * (q75 - q50), {least}) END) AS max_{k}" for k, (_, least) in METRICS.items())
     over = " OR ".join(f"{e.replace(' div ', ' // ')} > coalesce(s.max_{k}, l.max_{k}, a.max_{k})" for k, (e, _) in METRICS.items())
     return rf"""
 WITH texts AS (
@@ -164,9 +223,7 @@ WITH texts AS (
   SELECT *, sum(n) OVER (PARTITION BY level, lang, source, metric ORDER BY bucket) AS upto, sum(n) OVER (PARTITION BY level, lang, source, metric) AS docs FROM merged
 ), quantiles AS (
   SELECT level, lang, source, metric, max(docs) AS docs, min(CASE WHEN 2 * upto >= docs THEN bucket END) AS q50, min(CASE WHEN 4 * upto >= 3 * docs THEN bucket END) AS q75 FROM ranked GROUP BY ALL
-), bounds AS (
-  SELECT level, lang, source, max(docs) AS docs, {tops} FROM quantiles GROUP BY ALL
-)
+), {bounds}
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT coalesce(over_limit, false) AS kept
 FROM (
   SELECT c.*, n_words < {MIN_WORDS} OR 100 * n_repeat_words > 50 * n_words AS base_failed, CASE WHEN n_words > 0 THEN {over} END AS over_limit

@@ -44,9 +44,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_token_files": token_files.op7_token_files,
         "op10_best_fit": packing.op10_best_fit,
     }
-    more = {"preference_other_replies": chat.preference_other_replies, "pages_language": pages_language}
+    more = {"preference_other_replies": chat.preference_other_replies, "pages_language": pages_language, "quality_two_sided": quality.quality_two_sided}
     return {k: _prepared(f) for k, f in (own | more).items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_quality_rules": quality.op6_sql(), "op8_preference_format": chat.op8_sql(), "preference_other_replies": chat.other_replies_sql()}
+    return {"op5_ngram_jaccard": set_join.op5_sql(), "op6_quality_rules": quality.op6_sql(), "quality_two_sided": quality.two_sided_sql(), "op8_preference_format": chat.op8_sql(), "preference_other_replies": chat.other_replies_sql()}

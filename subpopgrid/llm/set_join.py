@@ -236,3 +236,28 @@ WORDS, NUM, DEN = 3, 90, 100
 
 def op5_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classes(spark.read.parquet(f"{sf_dir}/documents.parquet"), WORDS, NUM, DEN)
+
+
+def op5_sql() -> str:
+    """The same classes in DuckDB SQL: all pairs that share a shingle, then the closure of the links.
+
+    For small tables: it meets every pair of a shingle's documents, which the operator does not.
+    """
+    upper, lower = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+    gram = " || ' ' || ".join(f"words[i{f' + {k}' if k else ''}]" for k in range(WORDS))
+    return rf"""
+WITH RECURSIVE texts AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{upper}', '{lower}'), '[^\x20\x09-\x0D]+') AS words FROM documents
+), sets AS MATERIALIZED (
+  SELECT doc_id, CASE WHEN len(words) = 0 THEN [] WHEN len(words) < {WORDS} THEN [array_to_string(words, ' ')]
+    ELSE list_distinct(list_transform(range(1, len(words) - {WORDS - 2}), lambda i: {gram})) END AS grams FROM texts
+), rows AS MATERIALIZED (
+  SELECT doc_id, len(grams) AS size, unnest(grams) AS gram FROM sets
+), links AS MATERIALIZED (
+  SELECT x.doc_id AS a, y.doc_id AS b FROM rows x JOIN rows y ON x.gram = y.gram AND x.doc_id <> y.doc_id
+  GROUP BY x.doc_id, y.doc_id, x.size, y.size HAVING {DEN} * count(*) >= {NUM} * (x.size + y.size - count(*))
+), reached AS (
+  SELECT doc_id, doc_id AS other FROM sets UNION SELECT r.doc_id, l.b FROM reached r JOIN links l ON r.other = l.a
+)
+SELECT s.doc_id, CAST(len(s.grams) AS BIGINT) AS n_shingles, c.component_id
+FROM sets s JOIN (SELECT doc_id, min(other) AS component_id FROM reached GROUP BY doc_id) c ON s.doc_id = c.doc_id"""

@@ -309,6 +309,18 @@ def test_set_join_equals_all_pairs(spark, n, num, den):
     assert got == brute_classes(texts, n, num, den)
 
 
+def test_set_join_sql(spark, duck):
+    """The given tables, and a table of near copies and odd texts."""
+    sql = queries.oracle_sql()["op5_ngram_jaccard"]
+    same_rows(queries.queries()["op5_ngram_jaccard"](spark, SF), duck.execute(sql).df())
+    df = docs_of(spark, [*ODD, *near_copies(7), "Ab C d", "aB c D", "x y", "X Y"])
+    import duckdb
+
+    con = duckdb.connect()
+    con.register("documents", df.toPandas())
+    same_rows(set_join.classes(df, 3, 90, 100), con.execute(sql).df())
+
+
 def test_set_join_odd_ids(spark):
     df = spark.createDataFrame([(None, "a b c d"), (7, "a b c d"), (7, "a b c d"), (9, "a b c e"), (None, "p q r")], "doc_id long, text string")
     got = sorted((str(r["doc_id"]), r["n_shingles"], str(r["component_id"])) for r in set_join.classes(df, 3, 90, 100).collect())
@@ -347,8 +359,20 @@ def test_quality_cases(spark):
     assert quality.quality(odd).first()["kept"]
 
 
+def test_two_sided_limits(spark):
+    """A source that is mostly junk can't loosen its limit beyond twice its language's; clean documents stay."""
+    rows = [(i, prose(80, i), "en", "clean") for i in range(200)]
+    rows += [(1000 + i, " ".join(w + "$$$" if i % 2 else w for w in prose(80, 700 + i).split()), "en", "junk") for i in range(40)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    kept = lambda rule: {r["doc_id"] for r in quality.quality(df, rule).where("kept").collect()}
+    junk = {1000 + i for i in range(1, 40, 2)}
+    assert junk <= kept(quality.limits) and not junk & kept(quality.two_sided)
+    assert set(range(200)) <= kept(quality.two_sided) and {1000 + i for i in range(0, 40, 2)} <= kept(quality.two_sided)
+    assert quality.quality(empty_docs(spark), quality.two_sided).count() == 0
+
+
 def test_sql_of_quality_and_chat(spark, duck):
-    for name in ("op6_quality_rules", "op8_preference_format"):
+    for name in ("op6_quality_rules", "quality_two_sided", "op8_preference_format"):
         same_rows(queries.queries()[name](spark, SF), duck.execute(queries.oracle_sql()[name]).df())
 
 

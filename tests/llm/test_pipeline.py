@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from pathlib import Path
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -45,6 +47,14 @@ def test_run_equals_brute_force(spark):
     assert packed.sequence_id.nunique() == sequential_best_fit(packed.length.tolist(), 1024)
 
 
+def test_run_leaves_only_its_result(spark):
+    folder = Path(spark.conf.get("spark.checkpoint.dir").removeprefix("file://"))
+    before = set(folder.iterdir())
+    rows = corpus_pipeline.run(spark, SF).count()
+    left = {p for p in set(folder.iterdir()) - before if p.is_dir()}
+    assert rows > 0 and [p.name.rsplit("-", 1)[0] for p in left] == ["best_fit_packing"]
+
+
 def test_near_duplicates_without_usable_ids(spark):
     rows = [(None, "a b c d e f g"), (3, "a b c d e f g"), (3, "a b c d e f g"), (4, "p q r s t u v"), (None, None)]
     df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("lang", F.lit("en"))
