@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from subpopgrid.llm import decontaminate, language, packing, quality, set_join
-from subpopgrid.llm.common import prepare, staged, with_row_ids, without
+from subpopgrid.llm.common import discard, noted, prepare, staged, with_row_ids, without
 
 #: Near duplicates: word n-grams and the least similarity (a fraction).
 NEAR_WORDS, NEAR_NUM, NEAR_DEN = 5, 80, 100
@@ -60,7 +60,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """The last stage's table. A stage's own tables, and its input if a stage wrote it, go once its output is written."""
+    docs, done = spark.read.parquet(f"{sf_dir}/documents.parquet"), []
     for name, stage in STAGES:
-        docs = staged(stage(spark, docs, sf_dir), name)
+        with noted() as made:
+            docs = staged(stage(spark, docs, sf_dir), name)
+        discard(spark, done + made[:-1])
+        done = made[-1:]
     return docs
