@@ -15,7 +15,7 @@ from ..sources.tables import VIEWS, ZIPF_SPEC, load, scratch, spec_of, sql, view
 from ..streaming import windows as SW
 from . import config as C
 from . import oracle as O
-from .comparisons import _BASIC, _BY_SIZE, _SIZED, _coverage, _err_sql, _union
+from .comparisons import _BASIC, _BY_SIZE, _KEY_CFGS, _SIZED, _coverage, _err_sql, _union
 from .registry import query
 from .streams import _SPEC, _pairs_sql, _stream, _text, _windowed
 
@@ -46,6 +46,25 @@ def _w1_hourly(spark, sf_dir):
     return keys.join(grid.estimate(grid.build_grid(df, s, TIGHT), keys), "subpop_key").join(t, "subpop_key")
 
 
+# --- W2 by brand ---
+
+_BRAND_VIEW = "SELECT p_brand, CAST(l_suppkey AS BIGINT) AS m, CAST(1 AS BIGINT) AS wgt FROM {lineitem} l JOIN {part} p ON l.l_partkey = p.p_partkey"
+_BRAND = WorkloadSpec(dims=("p_brand",), weight="wgt", include_total=False)
+
+
+@query(
+    "w_W2_brand",
+    "p_brand:s card:d card_true:l",
+    O.grid_ctes((_BRAND_VIEW.format(lineitem="lineitem", part="part"), _BRAND), TIGHT) + "@@ SELECT k.p_brand, e.card, t.card AS card_true FROM (SELECT DISTINCT subpop_key, p_brand FROM pairs) k JOIN estimates e ON k.subpop_key = e.subpop_key JOIN truth t ON k.subpop_key = t.subpop_key",
+)
+def _w2_brand(spark, sf_dir):
+    """The second example query by brand."""
+    df = sql(spark, sf_dir, _BRAND_VIEW)
+    keys = grid.StatQuery(("p_brand",), ()).subpops(df, _BRAND)
+    t = B.ground_truth(df, _BRAND).select("subpop_key", F.col("card").alias("card_true"))
+    return keys.join(grid.estimate(grid.build_grid(df, _BRAND, TIGHT), keys), "subpop_key").join(t, "subpop_key")
+
+
 # --- offline samples at one in a hundred ---
 
 _RARE = 100
@@ -309,6 +328,32 @@ def _w14_minutes(spark, sf_dir):
     return SW.window_estimates(pairs.select("win", "subpop_key", "m", "f"), _MINUTE_CFG).select(_text(), "subpop_key", "found_rows", "l1", "l2", "card")
 
 
+# --- W15, W16: key modes and rows on the network view, all cuboids ---
+
+
+def _each_sql(column: str, cfgs, body: str) -> str:
+    return "@@ " + " UNION ALL ".join(f"SELECT {label} AS {column}, * FROM (WITH {_err_sql('flow', cfg)}, {O.qualifying_cte(0.002)} {body})" for label, cfg in cfgs)
+
+
+_ROWS = [(r, TIGHT.but(r=r)) for r in (1, 3, 5)]
+
+
+@query("w_W15_flow", "key_mode:s stat:s mean_abs:d n:l", _each_sql("key_mode", [(f"'{k}'", c) for k, c in _KEY_CFGS], _MEAN))
+def _w15_flow(spark, sf_dir):
+    """Pair keys against bare values, over all cuboids of the network view."""
+    df, s = view(spark, sf_dir, "flow"), spec_of("flow")
+    true = B.ground_truth(df, s)
+    est = lambda cfg: grid.estimate(grid.build_grid(df, s, cfg), true.select("subpop_key"))
+    return _union([_mean(M.relative_error(est(cfg), true), 0.002).withColumn("key_mode", F.lit(k)) for k, cfg in _KEY_CFGS])
+
+
+@query("w_W16_flow", "r:l stat:s share:d n:l", _each_sql("r", _ROWS, "SELECT stat, avg(CASE WHEN abs(err) <= 0.2 THEN 1.0 ELSE 0 END) AS share, count(*) AS n FROM big GROUP BY stat"))
+def _w16_flow(spark, sf_dir):
+    """More rows, steadier medians, over all cuboids of the network view."""
+    df, s = view(spark, sf_dir, "flow"), spec_of("flow")
+    return _union([M.within(M.qualifying(_errors(df, s, cfg), 0.002), 0.2).withColumn("r", F.lit(r)) for r, cfg in _ROWS])
+
+
 # --- W17: coverage on the network view and on skewed data, over salts ---
 
 _W17 = [(v, z) for v in ("flow", "zipf") for z in (1, 2, 3)]
