@@ -23,7 +23,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import merged_scan, staged, take_over
+from .common import fresh, merged_scan, staged, take_over
 
 BUCKETS, SAMPLE_DOCS, TEXT_TRIALS = 8192, 4000, 60
 DECLARED_HIT, SUFFIX_HIT, HOST_WEIGHT, MIN_POSTERIOR = 0.9, 0.8, 20, 0.5
@@ -104,17 +104,22 @@ def score(docs: DataFrame, model: dict, keep: dict[str, Column], text_col: str =
     return rows.mapInArrow(rate, ", ".join([*(f"`{c}` {kinds[c]}" for c in names), "n long", "fits boolean", *(f"t_{k} double" for k in range(len(langs)))]))
 
 
-def _softmax(parts: list[Column]) -> list[Column]:
-    top = F.greatest(*parts) if len(parts) > 1 else parts[0]
-    whole = sum((F.exp(p - top) for p in parts), F.lit(0.0))
-    return [F.exp(p - top) / whole for p in parts]
+def _softmax(rows: DataFrame, parts: list[Column]) -> tuple[DataFrame, str]:
+    """``rows`` and the name of a new array column of the posteriors of ``parts``, their logarithms up to a summand.
+
+    Arrays in steps: written out, every posterior would repeat all parts, and the generated code outgrows a method.
+    """
+    logs, top, odds, out = (fresh(c, rows.columns) for c in ("_logs", "_top", "_odds", "_posteriors"))
+    each = rows.withColumn(logs, F.array(*parts)).withColumn(top, F.array_max(logs)).withColumn(odds, F.transform(logs, lambda x: F.exp(x - F.col(top))))
+    whole = F.aggregate(odds, F.lit(0.0), lambda a, x: a + x)
+    return each.withColumn(top, whole).withColumn(out, F.transform(odds, lambda x: x / F.col(top))).drop(logs, top, odds), out
 
 
 def host_sums(scores: DataFrame, langs: list[str]) -> DataFrame:
     """(host, s_<k>): text posteriors summed as whole thousandths, so any order sums alike."""
-    post = _softmax([F.col(f"t_{k}") for k in range(len(langs))])
-    sums = [F.sum(F.when(F.col("n") > 0, F.round(1000 * p)).otherwise(0).cast("long")).alias(f"s_{k}") for k, p in enumerate(post)]
-    return scores.groupBy("host").agg(*sums)
+    rated, post = _softmax(scores, [F.col(f"t_{k}") for k in range(len(langs))])
+    sums = [F.sum(F.when(F.col("n") > 0, F.round(1000 * F.col(post)[k])).otherwise(0).cast("long")).alias(f"s_{k}") for k in range(len(langs))]
+    return rated.groupBy("host").agg(*sums)
 
 
 def host_priors(sums: DataFrame, langs: list[str]) -> DataFrame:
@@ -151,8 +156,9 @@ def fuse(scores: DataFrame, priors: DataFrame, langs: list[str]) -> DataFrame:
     """Add ``lang_pred`` (null without text), ``posterior`` and ``kept``. Priors broadcast only below Spark's size limit."""
     joined = scores.join(priors, F.col("host").eqNullSafe(F.col("_host")), "left")
     parts = [F.col(f"t_{k}") + F.coalesce(F.col(f"h_{k}"), F.lit(0.0)) + _witness(F.col("declared"), x, langs, DECLARED_HIT) + _witness(F.col("suffix"), x, langs, SUFFIX_HIT) for k, x in enumerate(langs)]
-    ranked = F.sort_array(F.array(*(F.struct(F.round(p, 6).alias("p"), F.lit(x).alias("x")) for p, x in zip(_softmax(parts), langs, strict=True))), asc=False)[0]
-    best = joined.withColumn("best", ranked)
+    rated, post = _softmax(joined, parts)
+    names = F.array(*(F.lit(x) for x in langs))
+    best = rated.withColumn("best", F.array_max(F.transform(post, lambda p, k: F.struct(F.round(p, 6).alias("p"), F.get(names, k).alias("x")))))
     return best.withColumn("lang_pred", F.when(F.col("n") > 0, F.col("best.x"))).withColumn("posterior", F.col("best.p")).withColumn("kept", F.col("fits") & (F.col("best.p") >= MIN_POSTERIOR))
 
 

@@ -518,6 +518,19 @@ def test_rare_languages_are_learnt(spark):
     assert language.identify(held_out, model, declared=F.lit("pl")).first()["lang_pred"] == "pl"
 
 
+def test_many_languages_compile(spark):
+    """Twelve languages: generated code stays below a method's size limit, in the query's form and the pipeline's."""
+    rows = [(i, prose(30, i), f"{chr(97 + i % 12)}x", "s") for i in range(48)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    model = language.fit(df, F.col("lang"))
+    spark.conf.set("spark.sql.codegen.fallback", "false")
+    try:
+        judged = {r["doc_id"] for r in language.identify(df, model, declared=F.col("lang"), host=F.col("source")).where("kept").collect()}
+        assert {r["doc_id"] for r in language.accepted(df, model, declared=F.col("lang"), host=F.col("source")).collect()} == judged
+    finally:
+        spark.conf.unset("spark.sql.codegen.fallback")
+
+
 # --- HTML ---
 
 PAGE = """<!DOCTYPE html><html lang=en><head><title>T</title><style>p{}</style></head><body class="menu-open"><div class="cookie-notice">We use cookies</div><header><h1>Site</h1></header>
