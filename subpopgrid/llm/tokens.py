@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from array import array
 
 import numpy as np
@@ -13,6 +14,10 @@ _OPEN: dict = {}
 CACHE_WORDS, CACHE_CHARS = 500_000, 48
 #: Text that is encoded at once.
 SLICE_BYTES = 6 << 20
+#: Unseen words whose texts are made ready at once.
+BLOCK_WORDS = 20_000
+#: Letters and then signs, but no apostrophe, which may begin a pre-token of its own with the letters behind it.
+_SIGNED = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-&(-/:-@\[-`{-~]+)")
 
 
 def vocabulary(name: str) -> str:
@@ -36,10 +41,14 @@ class _Words(dict):
         super().__init__()
         self.owner, self.prefix, self.older, self.marks = owner, prefix, {}, {}
 
-    def __missing__(self, word: str):
+    def turn(self) -> None:
+        """A full cache becomes the older generation."""
         if len(self) > CACHE_WORDS:
             self.older = dict(self)
             self.clear()
+
+    def __missing__(self, word: str):
+        self.turn()
         if word in self.older:
             ids = self.older[word]
         elif not word:
@@ -53,6 +62,8 @@ class _Words(dict):
             return self[word[:-1]] + mark
         elif word.isalpha() and max(word) <= "ÿ":
             ids = self.owner.letters(self.prefix, word)
+        elif self.owner.spaced and (parts := self.owner.parts(self, word)) is not None:
+            return parts
         else:
             ids = self.owner.whole(self.prefix + word)
         if len(word) <= CACHE_CHARS:
@@ -76,6 +87,8 @@ class Encoder:
         self.model, self.table = self.tokenizer.model, _byte_letters()
         self.first = _Words(self, "")
         self.rest = _Words(self, " ") if spaced else self.first
+        self.line_break = self.whole("\n")
+        self.lines = {k: v for k, v in self.table.items() if k != 10}  # line breaks stay as they are
 
     def whole(self, text: str) -> bytes:
         return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
@@ -84,6 +97,45 @@ class Encoder:
         text = prefix + (word if self.spaced else word.lower())
         return array("I", [t.id for t in self.model.tokenize(text.encode().decode("latin-1").translate(self.table))]).tobytes()
 
+    def parts(self, table: _Words, word: str) -> bytes | None:
+        """Ids of a word of the spaced kind from those of its own pre-tokens, where their borders are certain.
+
+        Signs behind letters are a pre-token, and so is a line break between two characters that are no white space.
+        """
+        if (m := _SIGNED.fullmatch(word)) is not None:
+            return table[m[1]] + self.first[m[2]]
+        if "\n" in word:
+            lines = word.split("\n")
+            if all(x and not x[0].isspace() and not x[-1].isspace() for x in lines):
+                return self.line_break.join([table[lines[0]], *map(self.first.__getitem__, lines[1:])])
+        return None
+
+    def lookup(self, words: list[str]) -> tuple[list[bytes | None], list[int]]:
+        """Ids of distinct words that follow a border, and which have none of their own; unseen runs of letters in blocks."""
+        table = self.rest
+        found = list(map(table.get, words))
+        unseen = [i for i, x in enumerate(found) if x is None]
+        tokenize = self.model.tokenize
+        for lo in range(0, len(unseen), BLOCK_WORDS):
+            table.turn()
+            older, runs = table.older, []
+            for i in unseen[lo : lo + BLOCK_WORDS]:
+                w = words[i]
+                if w.isalpha() and len(w) <= CACHE_CHARS and (w.isascii() or max(w) <= "ÿ"):
+                    if (ids := older.get(w)) is None:
+                        runs.append(i)
+                    else:
+                        found[i] = table[w] = ids
+            if runs:
+                text = "\n".join([table.prefix + words[i] for i in runs])
+                lines = (text if self.spaced else text.lower()).encode().decode("latin-1").translate(self.lines).split("\n")
+                for i, line in zip(runs, lines, strict=True):
+                    found[i] = table[words[i]] = array("I", [t.id for t in tokenize(line)]).tobytes()
+        for i in unseen:
+            if found[i] is None:
+                found[i] = table[words[i]]
+        return found, [i for i in unseen if found[i] is None]
+
     def __call__(self, text: str | None) -> bytes:
         if not text:
             return b""
@@ -118,14 +170,15 @@ class Encoder:
             # a run of letters and one mark behind it are split before the merges: look up the letters alone
             marked = pc.match_substring_regex(words.dictionary, r"^[A-Za-zÀ-ÖØ-öø-ÿ]+[.,]$")
             bare = pc.if_else(marked, pc.utf8_slice_codeunits(words.dictionary, 0, -1), words.dictionary).dictionary_encode()
-            found = list(map(self.rest.__getitem__, bare.dictionary.to_pylist()))
+            found, unfixed = self.lookup(bare.dictionary.to_numpy(zero_copy_only=False).tolist())
             n_bare, flags = len(found), marked.to_numpy(zero_copy_only=False)
             found += [self.whole("."), self.whole(",")]
             second = np.where(flags, n_bare + pc.ends_with(words.dictionary, ",").to_numpy(zero_copy_only=False), -1)[at]
             first = bare.indices.to_numpy(zero_copy_only=False).astype(np.int64)[at]
             whole = []
             if self.spaced:
-                bad = np.fromiter((x is None for x in found), bool, len(found))
+                bad = np.zeros(len(found), bool)
+                bad[unfixed] = True
                 heads = [self.first[w] for w in words.dictionary.take(pa.array(at[offsets[:-1]])).to_pylist()]
                 odd = np.fromiter((x is None for x in heads), bool, len(heads))
                 if bad.any():
