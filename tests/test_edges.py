@@ -6,8 +6,10 @@ import duckdb
 import numpy as np
 import pyarrow as pa
 import pyarrow.parquet as pq
+import pytest
 
 from subpopgrid.plans.catalog import QUERIES, SQL
+from tests.conftest import SF
 
 
 def test_arrays_of_single_floats(spark, tmp_path):
@@ -20,3 +22,22 @@ def test_arrays_of_single_floats(spark, tmp_path):
     con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet'")
     got = [tuple(r) for r in QUERIES["op_scalar_arrays"](spark, str(tmp_path)).orderBy("vec_id").collect()]
     assert got == con.execute(SQL["op_scalar_arrays"] + " ORDER BY vec_id").fetchall()
+
+
+def test_ablation_builds_from_counts_of_all_records(spark, monkeypatch):
+    """w_W10: each combination is one row, and the rows' weights are all records."""
+    from pyspark.sql import functions as F
+
+    from subpopgrid.operators import bounded
+
+    class Seen(Exception):
+        pass
+
+    def build(df, spec, cfg):
+        rows = df.groupBy(*spec.dims, spec.metric).agg(F.count(F.lit(1)).alias("n"), F.sum("wgt").alias("wgt"))
+        raise Seen(rows.agg(F.max("n"), F.sum("wgt")).first())
+
+    monkeypatch.setattr(bounded, "build_bounded", build)
+    with pytest.raises(Seen) as seen:
+        QUERIES["w_W10"](spark, SF)
+    assert tuple(seen.value.args[0]) == (1, spark.read.parquet(f"{SF}/lineitem.parquet").count())
