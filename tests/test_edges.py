@@ -41,3 +41,12 @@ def test_ablation_builds_from_counts_of_all_records(spark, monkeypatch):
     with pytest.raises(Seen) as seen:
         QUERIES["w_W10"](spark, SF)
     assert tuple(seen.value.args[0]) == (1, spark.read.parquet(f"{SF}/lineitem.parquet").count())
+
+
+READS = ("cfg_cost_model",)
+
+
+@pytest.mark.parametrize("name", READS)
+def test_reads_a_given_table(spark, tmp_path, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND|does not exist"):
+        QUERIES[name](spark, str(tmp_path / "none")).collect()
