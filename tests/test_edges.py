@@ -50,3 +50,20 @@ READS = ("cfg_cost_model", "cfg_memory_model", "cfg_optimal_widths", "cfg_recomm
 def test_reads_a_given_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND|does not exist"):
         QUERIES[name](spark, str(tmp_path / "none")).collect()
+
+
+def test_lists_stay_within_full_combinations(spark):
+    """No list is gathered for a whole subpopulation, and the statistics are those of all values, missing ones left out."""
+    from pyspark.sql import functions as F
+
+    from subpopgrid.operators import baselines as B
+    from subpopgrid.schema import WorkloadSpec
+
+    df = spark.range(1000).select((F.col("id") % 3).alias("a"), F.when(F.col("id") % 5 > 0, F.col("id") % 5).alias("b"), F.when(F.col("id") % 7 > 0, F.col("id") % 11).alias("m"))
+    spec = WorkloadSpec(("a", "b"))
+    lists = B.exact_lists(df, spec)
+    plan = lists._jdf.queryExecution().optimizedPlan().toString()
+    assert "collect_list" in plan and plan.index("Expand") < plan.index("collect_list")
+    names = ["subpop_key", "l1", "l2", "card"]
+    true = B.ground_truth(df.where("m IS NOT NULL"), spec)
+    assert sorted(map(tuple, lists.select(names).collect())) == sorted(map(tuple, true.select(names).collect()))
